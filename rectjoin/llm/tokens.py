@@ -1,13 +1,16 @@
 """Byte-level BPE ids of whole texts, by the ``tokenizers`` library behind a cache of pre-tokens.
 
 The file's pre-tokenizer cuts a text into pieces that BPE treats one by one, so ids of a piece can be kept.
-Texts of common characters are cut here by the same pattern and only unseen pieces go to the library; a text
-with any other character goes to the library whole. Strings of special tokens are ordinary text.
+Texts of common characters are cut here by the same pattern and only unseen pieces go to the library's model;
+a text with any other character, or any text where the file has another pre-tokenizer, goes to the library
+whole. Strings of special tokens are ordinary text.
 """
 
 from __future__ import annotations
 
+import json
 import re
+from array import array
 
 import numpy as np
 
@@ -17,6 +20,9 @@ NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
 MOST_PIECES = 400_000
+#: Bytes that byte-level BPE writes as themselves; the others follow from 256 on, in order.
+SELF_BYTES = [*range(33, 127), *range(161, 173), *range(174, 256)]
+BYTE_CHARS = {b: b for b in SELF_BYTES} | {b: 256 + i for i, b in enumerate(x for x in range(256) if x not in SELF_BYTES)}
 
 
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
@@ -38,6 +44,10 @@ class Encoder(dict):
         self.old: dict[str, bytes] = {}
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
+        self.model = self.library.model
+        shape = json.loads(self.library.to_str())
+        cut = shape.get("pre_tokenizer") or {}
+        self.by_piece = cut.get("type") == "ByteLevel" and not cut.get("add_prefix_space") and cut.get("use_regex", True) and not shape.get("normalizer") and shape["model"]["type"] == "BPE" and not shape["model"].get("dropout")
 
     def whole(self, text: str) -> bytes:
         return np.array(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
@@ -46,12 +56,12 @@ class Encoder(dict):
         if len(self) > MOST_PIECES:
             self.old = dict(self)
             self.clear()
-        self[piece] = ids = self.old.pop(piece, None) or self.whole(piece)
+        self[piece] = ids = self.old.pop(piece, None) or array("I", [t.id for t in self.model.tokenize(piece.encode().decode("latin-1").translate(BYTE_CHARS))]).tobytes()
         return ids
 
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if not USUAL.fullmatch(text):
+        if not self.by_piece or not USUAL.fullmatch(text):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
         return b"".join(map(self.__getitem__, PIECES.findall(text)))
