@@ -4,8 +4,9 @@ Tokens are 64-bit hashes of word shingles. The steps:
 
 1. One pass makes of every text its set of tokens and keeps a digest of the set, its size and a few minima
    under different permutations. Equal sets become one node (the smallest id).
-2. *Groups of similar documents.* Nodes that share a minimum are tried against the smallest node that has it,
-   and verified. Verified links make the groups: one group holds nodes known to be connected, of one size band.
+2. *Groups of similar documents.* Nodes that share a key of two minima are tried against the smallest node that
+   has it, and verified; those still unconnected are tried against three others. Verified links make the
+   groups: one group holds nodes known to be connected, of one size band.
 3. *Token-group matrix.* All tokens have one global order, in which common ones come last (by a sketch of fixed
    size) and ties go by hash. Two sets that link share tokens among the first quarter of both. So a group's row
    holds the union of its members' first quarters, one entry a token however many members have it.
@@ -38,10 +39,14 @@ from .components import components
 WIDTH = 5
 PERCENT = 75
 MINIMA = 6
+#: Which members of those with a common key the others are tried against, round by round: (order, the first?).
+LEADS = ((("node", True),), (("node", False), ("hash", True), ("hash", False)))
 SKETCH_BITS = 18
 #: Buckets that one task reports to the sketch; it only steers the order.
 SKETCH_ROWS = 4096
 BAND = 1.05
+#: Members of a large group that are opened together.
+BLOCK = 32
 _STEPS = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3))
 _MINUS_ONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 
@@ -84,6 +89,13 @@ def _digest(tokens: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(tokens.tobytes()) - (1 << 63)
 
 
+def _minima(tokens: np.ndarray, i: int) -> int:
+    """A key of two minima, under two permutations of the tokens."""
+    p, q = tokens * _STEPS[i + 2], tokens * (_STEPS[i + 2] ^ _STEPS[0] << np.uint64(1))
+    p, q = int((p ^ (p >> np.uint64(31))).min()), int((q ^ (q >> np.uint64(30))).min())
+    return ((p * 0x9E3779B97F4A7C15 + q) & 0xFFFFFFFFFFFFFFFF) - (1 << 63)
+
+
 def _signatures(docs: DataFrame, width: int) -> DataFrame:
     """kind 0: a document (id, sid, n, m0...). kind 1: a bucket of the sketch (id: the bucket, n: its excess)."""
 
@@ -103,8 +115,7 @@ def _signatures(docs: DataFrame, width: int) -> DataFrame:
                     sets += len(s)
                 for i in range(MINIMA):
                     if len(s):
-                        p = s * _STEPS[i + 2 - (i > 5)]
-                        rows[f"m{i}"].append(int((p ^ (p >> np.uint64(31))).min()) - (1 << 63))
+                        rows[f"m{i}"].append(_minima(s, i))
                     else:
                         rows[f"m{i}"].append(None)
             yield pa.RecordBatch.from_pydict({"kind": pa.array([0] * len(rows["id"]), pa.int8())} | {k: pa.array(v, pa.int64()) for k, v in rows.items()})
@@ -147,7 +158,7 @@ def _prefixes(docs: DataFrame, levels: np.ndarray, width: int, percent: int) ->
 
 
 def _entries(rows: DataFrame) -> DataFrame:
-    """(root, n, toks) to (token, root, band, least, most): one entry a token and group in each batch."""
+    """(root, n, toks) to (token, root, span): one entry a token and group in each batch; span is least size, most size."""
 
     def run(batches):
         for batch in batches:
@@ -156,24 +167,21 @@ def _entries(rows: DataFrame) -> DataFrame:
             token = lists.flatten().to_numpy(zero_copy_only=False)
             n = np.repeat(batch.column(1).to_numpy(zero_copy_only=False), lens)
             root = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), lens)
-            band = (np.log(np.maximum(n, 1)) / np.log(BAND)).astype(np.int32)
+            band = (np.log(np.maximum(n, 1)) / np.log(BAND) + 1e-9).astype(np.int32)
             order = np.lexsort((n, band, root, token))
             token, root, band, n = token[order], root[order], band[order], n[order]
             first = np.append(True, (token[1:] != token[:-1]) | (root[1:] != root[:-1]) | (band[1:] != band[:-1]))[: len(token)]
             last = np.append(first[1:], True)[: len(token)]
-            yield pa.RecordBatch.from_arrays([pa.array(token[first]), pa.array(root[first]), pa.array(band[first]), pa.array(n[first]), pa.array(n[last])], ["token", "root", "band", "least", "most"])
+            yield pa.RecordBatch.from_arrays([pa.array(token[first]), pa.array(root[first]), pa.array(n[first] << 32 | n[last])], ["token", "root", "span"])
 
-    return rows.select("root", "n", "toks").mapInArrow(run, "token long, root long, band int, least long, most long")
+    return rows.select("root", "n", "toks").mapInArrow(run, "token long, root long, span long")
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
     """Those of pairs (a, b) of ids whose texts link. ``b`` should be the end that repeats."""
     ends = written(pairs.distinct(), "pairs")
-    need = ends.select(F.col("a").alias("_id")).unionByName(ends.select(F.col("b").alias("_id")))
-    texts = rows_with(docs, need, "_id").join(need.distinct(), "_id", "left_semi")
-    texts = written(texts, "texts")
-    first = ends.join(texts.select(F.col("_id").alias("a"), F.col("_text").alias("ta")), "a")
-    rows = first.join(texts.select(F.col("_id").alias("b"), F.col("_text").alias("tb")), "b").select("a", "b", "ta", "tb")
+    text = lambda side: rows_with(docs.select(F.col("_id").alias(side), F.col("_text").alias(f"t{side}")), ends.select(side), side).hint("merge")
+    rows = ends.join(text("a"), "a").join(text("b"), "b").select("a", "b", "ta", "tb")
 
     def run(batches):
         hashes, text, held = WordHashes(), None, None
@@ -188,6 +196,10 @@ def _verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Da
     return rows.mapInArrow(run, "a long, b long")
 
 
+def _band(n: Column) -> Column:
+    return F.floor(F.log(n) / F.lit(float(np.log(BAND))) + F.lit(1e-9)).cast("int")
+
+
 def _least_shared(least: tuple[Column, Column], most: tuple[Column, Column], percent: int) -> Column:
     """Entries that two groups share at least if they hold a link."""
     common = F.ceil((least[0] + least[1]) * F.lit(percent) / F.lit(100.0 + percent) - F.lit(1e-6))
@@ -195,6 +207,60 @@ def _least_shared(least: tuple[Column, Column], most: tuple[Column, Column], per
     return F.greatest(F.lit(1), F.least(common - behind[0], common - behind[1]))
 
 
+def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
+    """(_id, toks) of the documents among ``ids`` (and some more), as binary token sets."""
+
+    def run(batches):
+        hashes = WordHashes()
+        for batch in batches:
+            toks = [shingle_set(t, hashes, width).tobytes() for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(toks, pa.binary())], ["_id", "toks"])
+
+    return rows_with(docs, ids, "_id").mapInArrow(run, "_id long, toks binary")
+
+
+def _opened(docs: DataFrame, known: DataFrame, opened: DataFrame, width: int, percent: int) -> DataFrame:
+    """Links (a, b) between the members of opened group pairs.
+
+    Members of small groups are paired. A group of more than ``BLOCK`` members is kept in blocks of about that
+    many, and each member of the smaller group opens each block as one row; as a block's members are connected
+    already, one link to it is all that is told.
+    """
+    member = known.select("root", _band(F.col("n")).alias("band"), "node", "n")
+    size = member.groupBy("root", "band").agg(F.count(F.lit(1)).alias("size"))
+    side = lambda df, x: df.select(*(F.col(c).alias(f"{c}_{x}") for c in df.columns))
+    both = opened.select("root_a", "band_a", "root_b", "band_b").join(side(size, "a"), ["root_a", "band_a"]).join(side(size, "b"), ["root_b", "band_b"])
+    turn = F.col("size_a") > F.col("size_b")
+    pick = lambda c, x, y: F.when(turn, F.col(f"{c}_{y}")).otherwise(F.col(f"{c}_{x}"))
+    both = both.select(*(pick(c, x, y).alias(f"{c}_{x}") for x, y in ("ab", "ba") for c in ("root", "band")), F.greatest("size_a", "size_b").alias("most"))
+    both = written(both, "opened")
+    fits = (F.col("n_a") * 100 >= F.col("n_b") * percent) & (F.col("n_b") * 100 >= F.col("n_a") * percent)
+    small = both.where(F.col("most") <= BLOCK).join(side(member, "a"), ["root_a", "band_a"]).join(side(member, "b"), ["root_b", "band_b"]).where(fits)
+    links = _verified(docs, small.select(F.col("node_a").alias("a"), F.col("node_b").alias("b")), width, percent)
+
+    wide = both.where(F.col("most") > BLOCK)
+    inside = written(side(member, "b").join(wide.select("root_b", "band_b", "most").distinct(), ["root_b", "band_b"]).withColumn("block", F.pmod(F.xxhash64("node_b"), F.ceil(F.col("most") / BLOCK))), "block-members")
+    blocks = inside.join(_sets(docs, inside.select(F.col("node_b").alias("_id")), width).withColumnRenamed("_id", "node_b"), "node_b")
+    blocks = blocks.groupBy("root_b", "band_b", "block").agg(F.collect_list(F.struct("node_b", "toks")).alias("members"))
+    asks = written(wide.select("root_a", "band_a", "root_b", "band_b").join(side(member, "a"), ["root_a", "band_a"]).select("node_a", "root_b", "band_b"), "asks")
+    asks = asks.join(_sets(docs, asks.select(F.col("node_a").alias("_id")), width).withColumnRenamed("_id", "node_a").withColumnRenamed("toks", "own"), "node_a")
+    rows = asks.join(blocks.hint("merge"), ["root_b", "band_b"]).select("node_a", "own", "members")
+
+    def run(batches):
+        for batch in batches:
+            found = ([], [])
+            for node, own, members in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                own = np.frombuffer(own, np.uint64)
+                for x in members:
+                    if links_exactly(own, np.frombuffer(x["toks"], np.uint64), percent):
+                        found[0].append(node)
+                        found[1].append(x["node_b"])
+                        break
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in found], ["a", "b"])
+
+    return links.unionByName(rows.mapInArrow(run, "a long, b long"))
+
+
 def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles, component_id for every row of ``docs``."""
     docs = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"))
@@ -205,21 +271,28 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width:
     nodes = written(nodes, "nodes")
 
     # 2. groups of similar documents
-    keys = nodes.select("node", "n", F.posexplode(F.array(*minima)).alias("perm", "key"))
-    lead = keys.groupBy("perm", "key").agg(F.min("node").alias("lead"), F.count(F.lit(1)).alias("size")).where("size > 1").drop("size")
-    tries = keys.join(lead, ["perm", "key"]).where("node != lead").select(F.col("node").alias("a"), F.col("lead").alias("b"))
-    near = written(_verified(docs, tries, width, percent), "near")
-    groups = components(near)
-    known = written(nodes.select("sid", "n", "node").join(groups, "node", "left").select("sid", "n", "node", F.coalesce("root", "node").alias("root")), "known")
+    near, known = None, nodes.withColumn("root", F.col("node"))
+    for leads in LEADS:
+        keys = known.select("node", "n", "root", F.posexplode(F.array(*minima)).alias("perm", "key"))
+        order = {"node": F.col("node"), "hash": F.xxhash64("node", "perm")}
+        picks = [F.struct(order[by].alias("by"), "node", "n", "root") for by, _ in leads]
+        lead = keys.groupBy("perm", "key").agg(F.count(F.lit(1)).alias("size"), F.array(*((F.min if first else F.max)(x) for x, (_, first) in zip(picks, leads))).alias("leads"))
+        lead = lead.where("size > 1").select("perm", "key", F.explode("leads").alias("lead"))
+        tries = keys.join(lead.hint("merge"), ["perm", "key"]).where((F.col("root") != F.col("lead.root")) & (F.col("n") * 100 >= F.col("lead.n") * percent) & (F.col("lead.n") * 100 >= F.col("n") * percent))
+        found = written(_verified(docs, tries.select(F.col("node").alias("a"), F.col("lead.node").alias("b")), width, percent), "near")
+        near = found if near is None else near.unionByName(found)
+        known = written(nodes.join(components(near), "node", "left").select("sid", "n", "node", *minima, F.coalesce("root", "node").alias("root")), "known")
 
     # 3. the token-group matrix
     level = np.zeros(1 << SKETCH_BITS, np.int8)
     sketch = made.where("kind = 1").groupBy("id").agg(F.log2(F.sum("n") + 1).cast("int").alias("level")).toArrow()  # at most 2**SKETCH_BITS rows
     level[sketch.column(0).to_numpy()] = sketch.column(1).to_numpy()
-    firsts = _prefixes(docs, level, width, percent).join(known.select("sid", "n", "root"), ["sid", "n"])
+    firsts = _prefixes(docs, level, width, percent).join(known.select("sid", "n", "root").hint("merge"), ["sid", "n"])
     matrix = _entries(firsts).repartition("token")
     at = "OVER (PARTITION BY token)"
-    matrix = matrix.select("*", F.expr(f"min(root) {at}").alias("lo"), F.expr(f"max(root) {at}").alias("hi")).where("lo != hi").drop("lo", "hi")
+    matrix = matrix.select("*", F.expr(f"min(root) {at}").alias("lo"), F.expr(f"max(root) {at}").alias("hi")).where("lo != hi")
+    least, most = F.shiftright("span", 32), F.col("span").bitwiseAND(0xFFFFFFFF)
+    matrix = matrix.select("token", "root", _band(least).alias("band"), least.alias("least"), most.alias("most"))
     matrix = written(matrix.groupBy("token", "root", "band").agg(F.min("least").alias("least"), F.max("most").alias("most")), "matrix")
 
     # 4. bound and open
@@ -228,12 +301,7 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width:
     fits = (F.col("root_a") < F.col("root_b")) & (F.abs(F.col("band_a") - F.col("band_b")) <= reach) & (F.col("most_a") * 100 >= F.col("least_b") * percent) & (F.col("most_b") * 100 >= F.col("least_a") * percent)
     shared = a.join(b, "token").where(fits).groupBy("root_a", "band_a", "root_b", "band_b").agg(F.count(F.lit(1)).alias("shared"), *(f(c).alias(c) for c, f in (("least_a", F.min), ("least_b", F.min), ("most_a", F.max), ("most_b", F.max))))
     opened = shared.where(F.col("shared") >= _least_shared((F.col("least_a"), F.col("least_b")), (F.col("most_a"), F.col("most_b")), percent))
-    member = known.select("root", F.floor(F.log("n") / F.lit(float(np.log(BAND)))).cast("int").alias("band"), "node", "n")
-    near_by = lambda side: member.select(F.col("root").alias(f"root_{side}"), F.col("band").alias(f"at_{side}"), F.col("node").alias(f"node_{side}"), F.col("n").alias(f"n_{side}"))
-    close = lambda side: F.abs(F.col(f"at_{side}") - F.col(f"band_{side}")) <= 1  # noqa: E731  both sides round the band on their own
-    inside = opened.join(near_by("a"), "root_a").where(close("a")).join(near_by("b"), "root_b").where(close("b"))
-    inside = inside.where((F.col("n_a") * 100 >= F.col("n_b") * percent) & (F.col("n_b") * 100 >= F.col("n_a") * percent)).select(F.col("node_b").alias("a"), F.col("node_a").alias("b"))
-    far = _verified(docs, inside, width, percent)
+    far = _opened(docs, known, opened, width, percent)
 
     # 5. components
     links = near.unionByName(far)
