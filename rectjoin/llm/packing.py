@@ -22,7 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .common import written
-from .tokens import Encoder, tokenizer_path
+from .tokens import encoder as kept_encoder
+from .tokens import tokenizer_path
 
 SIZE = 2048
 SHARD = 200_000
@@ -34,7 +35,7 @@ def pieces(docs: DataFrame, size: int = SIZE, path: str | None = None, id_col: s
     path = path or tokenizer_path()
 
     def run(batches):
-        encoder = Encoder(path)
+        encoder = kept_encoder(path)
         for batch in batches:
             known, out = {}, ([], [], [], [], [])
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):

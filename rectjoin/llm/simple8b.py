@@ -25,7 +25,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import scratch
-from .tokens import Encoder, tokenizer_path
+from .tokens import encoder as kept_encoder
+from .tokens import tokenizer_path
 
 #: Ids a word and bits an id, by selector.
 COUNTS = (240, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
@@ -151,7 +152,7 @@ def write(docs: DataFrame, to: str, path: str | None = None, end: int = 0, id_co
     def run(batches):
         from pyspark import TaskContext
 
-        encoder, part, base, ids, lists, n = Encoder(path), TaskContext.get().partitionId(), 0, [], [], 0
+        encoder, part, base, ids, lists, n = kept_encoder(path), TaskContext.get().partitionId(), 0, [], [], 0
 
         def row():
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([base], pa.int64()), pa.array([n], pa.int64()), pa.array([segment(ids, lists)], pa.binary())], ["part", "base", "n_ids", "payload"])

@@ -40,9 +40,9 @@ def bpe_counted(docs: DataFrame, version: str, path: str, sign: int = 1) -> Data
 
     @pandas_udf(T.LongType())
     def count(texts):
-        from .tokens import Encoder
+        from .tokens import encoder as kept_encoder
 
-        encoder = Encoder(path)
+        encoder = kept_encoder(path)
         return texts.map(lambda x: len(encoder.encode(x)) // 4)
 
     return docs.select("source", "lang", F.lit(version).alias("tokenizer"), F.lit(sign).cast("long").alias("docs"), (count(F.coalesce("text", F.lit(""))) * sign).alias("tokens"))

@@ -65,3 +65,13 @@ class Encoder(dict):
         if not self.by_piece or not USUAL.fullmatch(text):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
         return b"".join(map(self.__getitem__, PIECES.findall(text)))
+
+
+def encoder(path: str) -> Encoder:
+    """The worker process' encoder for a file: its pieces stay known from task to task."""
+    import tokenizers
+
+    kept = tokenizers.__dict__.setdefault("_encoders_by_path", {})
+    if path not in kept:
+        kept[path] = Encoder(path)
+    return kept[path]
