@@ -47,7 +47,7 @@ def stripes_for_memory(r: Stats, s: Stats, b: Bounds, axis: str, budget_rows: in
     return max(1, -(-int(active) // max(1, budget_rows)))
 
 
-def bins_for(r: Stats, s: Stats, spec: GridSpec, per_row: float = 64.0, most: int = 4096) -> int:
+def bins_for(r: Stats, s: Stats, spec: GridSpec, per_row: float = 24.0, most: int = 4096) -> int:
     """Sweep bins for the equi-join engine: it compares all of a key's rows, so keys must be small, yet bins make copies.
 
     Doubles the bins while that saves more comparisons (``per_row`` of them cost as much as a copy).

@@ -12,6 +12,8 @@ from ..operators.tune import best_cut, bins_for, expected_replication, k_rule
 
 #: A side of at most so many rows is sent to all tasks, before it is assigned.
 BROADCAST_ROWS = 20_000
+#: Up to so many rows of the smaller side a tile partition is hashed; beyond, sort-merge, which spills.
+HASH_ROWS = 50_000_000
 
 
 @dataclass(frozen=True)
@@ -36,4 +38,5 @@ def auto_plan(r: DataFrame, s: DataFrame, engine: str = "catalyst", ratio: float
     spec = stripes(cut, k_rule(st, b, cut, ratio), b)
     if engine == "catalyst":
         spec = spec.binned(bins_for(*st, spec))
-    return JoinPlan(spec, "y" if cut == "x" else "x", "ref_cell", engine, "broadcast" if engine == "catalyst" and 0 < st[1].n <= BROADCAST_ROWS else None, st)
+    hint = None if engine != "catalyst" else "broadcast" if 0 < st[1].n <= BROADCAST_ROWS else "shuffle_hash" if st[1].n <= HASH_ROWS else "merge"
+    return JoinPlan(spec, "y" if cut == "x" else "x", "ref_cell", engine, hint, st)

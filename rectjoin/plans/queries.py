@@ -90,7 +90,8 @@ def _stripes(r, s, axis="x", k=None):
 # Methods and variants -------------------------------------------------------------------------------------------
 for _name, _w, _make in (
     ("auto_join_w5", "w5", lambda r, s: join.spatial_join(r, s)),
-    ("stripe_x_join_w5", "w5", by_spec("stripe_x")),
+    ("stripe_x_join_w5", "w5", by_spec("stripe_x", engine="sweep")),
+    ("stripe_x_equi_w3", "w3", by_spec("stripe_x")),
     ("stripe_y_join_w5", "w5", lambda r, s: join.spatial_join(r, s, _stripes(r, s, "y").binned(100))),
     ("stripe_bins_join_w5", "w5", lambda r, s: join.spatial_join(r, s, _stripes(r, s).binned(20))),
     ("grid_join_w1", "w1", by_spec("grid")),
