@@ -39,6 +39,18 @@ NULL_ID = -(1 << 63)
 _LIMITS = np.array([0] + [(1 << w) - 1 for w in range(1, 60)] + [(1 << 60) - 2], np.uint64)
 
 
+_SMALL_BITS = np.searchsorted(_LIMITS, np.arange(1 << 16, dtype=np.uint64)).astype(np.uint8)
+
+
+def _bits(values: np.ndarray) -> np.ndarray:
+    """Bits that each value needs; 61: the escape."""
+    bits = _SMALL_BITS[values & np.uint64(0xFFFF)]
+    wide = np.flatnonzero(values > np.uint64(0xFFFF))
+    if len(wide):
+        bits[wide] = np.searchsorted(_LIMITS, values[wide])
+    return bits
+
+
 def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The words of unsigned values, and the first word of each block."""
     n = len(values)
@@ -46,7 +58,7 @@ def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         return np.empty(0, np.uint64), np.empty(0, np.uint32)
     padded = np.zeros(n + COUNTS[0], np.uint64)
     padded[:n] = values
-    bits = np.searchsorted(_LIMITS, padded).astype(np.uint8)  # 61: needs the escape
+    bits = _bits(padded)
     # The greatest width among the next c values, for each c; a longer run that fits takes the place of a shorter.
     selector, widest, have = np.full(n, 15, np.uint8), bits, 1
     for k in range(14, -1, -1):
@@ -74,9 +86,13 @@ def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     for k in np.unique(chosen):
         own = np.flatnonzero(chosen == k)
         word = np.full(len(own), np.uint64(int(k) << 60))
-        for j in range(COUNTS[k] if WIDTHS[k] else 0):
-            place = at[own] + j
-            word |= np.where(place < end[own], padded[place], np.uint64(0)) << np.uint64(j * WIDTHS[k])
+        first, c = at[own], COUNTS[k]
+        over = np.flatnonzero(first + c > end[own])  # words that end with their block hold fewer ids
+        for j in range(c if WIDTHS[k] else 0):
+            ids = padded[first + j]
+            if len(over):
+                ids[over[first[over] + j >= end[own[over]]]] = 0
+            word |= ids << np.uint64(j * WIDTHS[k])
         words[own] = word
     big = bits[at] == 61
     if big.any():
@@ -113,10 +129,15 @@ def decode(words: np.ndarray, n: int, firsts: np.ndarray) -> np.ndarray:
         if not WIDTHS[k]:
             continue
         mask = np.uint64((1 << WIDTHS[k]) - 1)
-        for j in range(COUNTS[k]):
-            place = at[own] + j
-            ok = place < end[own]
-            out[place[ok]] = (words[live[own[ok]]] >> np.uint64(j * WIDTHS[k])) & mask
+        first, word, c = at[own], words[live[own]], COUNTS[k]
+        whole = first + c <= end[own]
+        rest, part = first[~whole], word[~whole]
+        last = end[own][~whole]
+        first, word = first[whole], word[whole]
+        for j in range(c):
+            out[first + j] = (word >> np.uint64(j * WIDTHS[k])) & mask
+            ok = rest + j < last
+            out[rest[ok] + j] = (part[ok] >> np.uint64(j * WIDTHS[k])) & mask
     if raw.any():
         out[at[np.searchsorted(live, np.flatnonzero(raw) - 1)]] = words[raw]
     return out

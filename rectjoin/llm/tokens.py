@@ -3,7 +3,8 @@
 The file's pre-tokenizer cuts a text into pieces that BPE treats one by one, so ids of a piece can be kept.
 Texts of common characters are cut here by the same pattern and only unseen pieces go to the library's model;
 a text with any other character, or any text where the file has another pre-tokenizer, goes to the library
-whole. Strings of special tokens are ordinary text.
+whole. Where every blank stands between two other characters the text is first cut at blanks, which always
+start a piece, and the ids of whole stretches are kept too. Strings of special tokens are ordinary text.
 """
 
 from __future__ import annotations
@@ -19,7 +20,9 @@ LETTERS = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
 NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
-MOST_PIECES = 400_000
+MOST_PIECES = 300_000
+#: A blank beside other white space, or at an end.
+ODD_BLANK = re.compile(r" \s|\s | \Z|\A ")
 #: Bytes that byte-level BPE writes as themselves; the others follow from 256 on, in order.
 SELF_BYTES = [*range(33, 127), *range(161, 173), *range(174, 256)]
 BYTE_CHARS = {b: b for b in SELF_BYTES} | {b: 256 + i for i, b in enumerate(x for x in range(256) if x not in SELF_BYTES)}
@@ -42,6 +45,7 @@ class Encoder(dict):
 
         super().__init__()
         self.old: dict[str, bytes] = {}
+        self.stretches = Stretches(self)
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
         self.model = self.library.model
@@ -64,9 +68,30 @@ class Encoder(dict):
             return b""
         if not self.by_piece or not USUAL.fullmatch(text):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
+        if ODD_BLANK.search(text):
+            return self.cut(text)
+        first, *others = text.split(" ")
+        return self.cut(first) + b"".join(map(self.stretches.__getitem__, others))
+
+    def cut(self, text: str) -> bytes:
         return b"".join(map(self.__getitem__, PIECES.findall(text)))
 
 
+class Stretches(dict):
+    """A stretch without blanks -> the ids of a blank and it."""
+
+    def __init__(self, encoder: Encoder):
+        super().__init__()
+        self.encoder, self.old = encoder, {}
+
+    def __missing__(self, stretch: str) -> bytes:
+        if len(self) > MOST_PIECES:
+            self.old = dict(self)
+            self.clear()
+        self[stretch] = ids = self.old.pop(stretch, None) or self.encoder.cut(" " + stretch)
+        return ids
+
+
 def encoder(path: str) -> Encoder:
     """The worker process' encoder for a file: its pieces stay known from task to task."""
     import tokenizers
