@@ -179,9 +179,12 @@ def write(docs: DataFrame, to: str, path: str | None = None, end: int = 0, id_co
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([base], pa.int64()), pa.array([n], pa.int64()), pa.array([segment(ids, lists)], pa.binary())], ["part", "base", "n_ids", "payload"])
 
         for batch in batches:
+            known: dict[str | None, bytes] = {}  # copies in one batch
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids.append(doc)
-                lists.append(encoder.encode(text) + end_id)
+                if text not in known:
+                    known[text] = encoder.encode(text) + end_id
+                lists.append(known[text])
                 n += len(lists[-1]) // 4
                 if n >= SEGMENT_IDS:
                     yield row()
