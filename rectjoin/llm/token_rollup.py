@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import scratch
+from .common import scratch, written
 
 #: The pattern that each tokenizer version counts.
 TOKENIZERS = {"words-1": r"[^\x20\x09-\x0D]+", "classes-2": r"[A-Za-z]+|[0-9]+|[^A-Za-z0-9\x20\x09-\x0D]"}
@@ -27,11 +27,18 @@ KEYS = ["source", "lang", "tokenizer"]
 SCHEMA = "source string, lang string, tokenizer string, docs long, tokens long"
 
 
-def counted(docs: DataFrame, text: Column | None = None, tokenizers: dict[str, str] | None = None, sign: int = 1) -> DataFrame:
-    """Changes (source, lang, tokenizer, docs, tokens): one for each document and tokenizer version."""
-    text = F.coalesce(F.col("text") if text is None else text, F.lit(""))
-    each = F.array(*(F.struct(F.lit(k).alias("tokenizer"), (F.regexp_count(text, F.lit(p)) * sign).cast("long").alias("tokens")) for k, p in (tokenizers or TOKENIZERS).items()))
-    return docs.select("source", "lang", F.lit(sign).cast("long").alias("docs"), F.inline(each)).select(*KEYS, "docs", "tokens")
+def per_document(docs: DataFrame, tokenizers: dict[str, str] | None = None, **more: Column) -> DataFrame:
+    """(doc_id, source, lang, counts): what each tokenizer version makes of a text. Deletes and revisions need the
+    old counts, so this small table is kept; texts are read once."""
+    text = F.coalesce("text", F.lit(""))
+    each = F.array(*(F.struct(F.lit(k).alias("tokenizer"), F.regexp_count(text, F.lit(p)).cast("long").alias("tokens")) for k, p in (tokenizers or TOKENIZERS).items()))
+    return docs.select("doc_id", "source", "lang", each.alias("counts"), *(c.alias(k) for k, c in more.items()))
+
+
+def changes(counts: DataFrame, sign: int = 1) -> DataFrame:
+    """Signed changes (source, lang, tokenizer, docs, tokens) of counted documents."""
+    rows = counts.select("source", "lang", F.lit(sign).cast("long").alias("docs"), F.inline("counts"))
+    return rows.select(*KEYS, "docs", (F.col("tokens") * sign).alias("tokens"))
 
 
 def bpe_counted(docs: DataFrame, version: str, path: str, sign: int = 1) -> DataFrame:
@@ -75,12 +82,12 @@ class Rollup:
     def _folded(self, name: str) -> list[str]:
         return [r[0] for r in self.spark.read.schema("name string").parquet(f"{self.path}/folded-{name}").collect()]
 
-    def apply(self, batch_id: str, changes: DataFrame) -> bool:
+    def apply(self, batch_id: str, rows: DataFrame) -> bool:
         """Commit a batch. False, and nothing done, if that id is committed already."""
         name = f"batch={batch_id}"
         if self._done(name):
             return False
-        sums = changes.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
+        sums = rows.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
         sums.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/{name}")
         return True
 
@@ -109,16 +116,12 @@ def maintained(docs: DataFrame, labels: DataFrame) -> DataFrame:
     held = Rollup(docs.sparkSession, scratch(docs.sparkSession, "rollup"))
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
     poor = labels.where("quality = 0 AND coalesce(toxic, 0) != 1").select("doc_id").distinct()
-    no_digits = F.regexp_replace("text", r"(?<![^\x20\x09-\x0D])[0-9]+(?![^\x20\x09-\x0D])", " ")
-    counts = docs.select("doc_id", "source", "lang", "text")
-    for batch, changes in (("load", counted(counts)), ("takedown", _of(counts, toxic, F.col("text"), -1)), ("recount", revised(_of(counts, poor, F.col("text"), 1), _of(counts, poor, no_digits, 1)))):
-        held.apply(batch, changes)
-        held.apply(batch, changes)
+    digits = F.regexp_count(F.coalesce("text", F.lit("")), F.lit(r"(?<![^\x20\x09-\x0D])[0-9]+(?![^\x20\x09-\x0D])")).cast("long")
+    counts = written(per_document(docs, digits=digits), "token-counts")
+    before = counts.join(poor, "doc_id", "left_semi")
+    after = before.withColumn("counts", F.transform("counts", lambda x: F.struct(x["tokenizer"].alias("tokenizer"), (x["tokens"] - F.col("digits")).alias("tokens"))))
+    batches = {"load": changes(counts), "takedown": changes(counts.join(toxic, "doc_id", "left_semi"), -1), "recount": revised(changes(before), changes(after))}
+    for batch, rows in batches.items():
+        held.apply(batch, rows)
+        held.apply(batch, rows)
     return held.totals()
-
-
-def _of(docs: DataFrame, ids: DataFrame, text: Column, sign: int) -> DataFrame:
-    """Changes for the documents among ``ids``. Counts are taken before the join, so texts aren't shuffled."""
-    fields = {k: F.regexp_count(F.coalesce(text, F.lit("")), F.lit(p)).cast("long") for k, p in TOKENIZERS.items()}
-    rows = docs.select("doc_id", "source", "lang", F.array(*(F.struct(F.lit(k).alias("tokenizer"), (n * sign).alias("tokens")) for k, n in fields.items())).alias("each"))
-    return rows.join(ids, "doc_id", "left_semi").select("source", "lang", F.lit(sign).cast("long").alias("docs"), F.inline("each")).select(*KEYS, "docs", "tokens")
