@@ -37,3 +37,10 @@ def rows_without(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
+
+
+def sliced(batches, rows: int = 1000):
+    """Arrow batches in slices of so many rows, so that Python copies of their values stay small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)

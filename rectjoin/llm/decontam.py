@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import sliced
+
 LEAST = 5
 COVERAGE = 0.5
 BLOCK_CHARS = 32_000_000
@@ -167,7 +169,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
 
         def run(batches, shared=shared):
             held = shared.value
-            for batch in batches:
+            for batch in sliced(batches):
                 rows = [(doc, *m) for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()) for m in held.matches(text, coverage)]
                 columns = list(zip(*rows)) or [()] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["doc_id", "item_id", "tiles", "covered", "item_words"])
@@ -184,7 +186,7 @@ def clean_rows(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE
         shared = docs.sparkSession.sparkContext.broadcast(block)
 
         def run(batches, shared=shared):
-            for batch in batches:
+            for batch in sliced(batches):
                 yield batch.filter(pa.array([not shared.value.matches(t, coverage) for t in batch.column(at).to_pylist()], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

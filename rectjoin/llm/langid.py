@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import sliced
+
 BITS = 16
 PIECE = 1_000_000
 #: Bound of the training sample in documents (expected number; rows are chosen by a hash of their id).
@@ -87,7 +89,7 @@ def gram_counts(labelled: DataFrame, bits: int = BITS) -> DataFrame:
 
     def count(batches):
         grams, totals, size = Grams(bits), {}, 1 << bits
-        for batch in batches:
+        for batch in sliced(batches):
             langs, texts = batch.column("lang").to_pylist(), batch.column("text").to_pylist()
             for lang in set(langs):
                 own = [t for t, x in zip(texts, langs) if x == lang]
@@ -166,7 +168,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
     def score(batches):
         own = Model(*shared.value)
         grams = Grams(own.bits)
-        for batch in batches:
+        for batch in sliced(batches):
             langs, scores = own.predict(batch.column(2).to_pylist(), grams)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
@@ -187,7 +189,7 @@ def identified_rows(docs: DataFrame, least_score: float = 0.5, most: int = TRAIN
     def keep(batches):
         own = Model(*shared.value)
         grams = Grams(own.bits)
-        for batch in batches:
+        for batch in sliced(batches):
             langs, scores = own.predict(batch.column(at).to_pylist(), grams)
             yield batch.filter(pa.array([x != "und" and s >= least_score for x, s in zip(langs, scores)], pa.bool_()))
 

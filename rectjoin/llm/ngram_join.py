@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import rows_with, rows_without, written
+from .common import rows_with, rows_without, sliced, written
 from .components import components
 
 WIDTH = 5
@@ -45,6 +45,8 @@ SKETCH_BITS = 18
 #: Buckets that one task reports to the sketch; it only steers the order.
 SKETCH_ROWS = 4096
 BAND = 1.05
+#: Words, or sets, that a task keeps in mind; forgetting them costs time only.
+MOST_KEPT = 150_000
 #: Members of a large group that are opened together.
 BLOCK = 32
 _STEPS = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3))
@@ -53,7 +55,7 @@ _MINUS_ONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > MOST_KEPT:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -101,7 +103,7 @@ def _signatures(docs: DataFrame, width: int) -> DataFrame:
 
     def run(batches):
         hashes, counts, sets = WordHashes(), np.zeros(1 << SKETCH_BITS, np.int64), 0
-        for batch in batches:
+        for batch in sliced(batches):
             rows = {k: [] for k in ("id", "sid", "n", *(f"m{i}" for i in range(MINIMA)))}
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 s = shingle_set(text, hashes, width)
@@ -135,14 +137,14 @@ def _prefixes(docs: DataFrame, levels: np.ndarray, width: int, percent: int) ->
 
     def run(batches):
         hashes, level, seen = WordHashes(), shared.value, set()
-        for batch in batches:
+        for batch in sliced(batches):
             sids, ns, toks = [], [], []
             for text in batch.column(1).to_pylist():
                 s = shingle_set(text, hashes, width)
                 n = len(s)
                 if not n or (key := (_digest(s), n)) in seen:
                     continue
-                if len(seen) > 500_000:
+                if len(seen) > MOST_KEPT:
                     seen.clear()
                 seen.add(key)
                 p = n - -(-percent * n // 100) + 1
@@ -161,7 +163,7 @@ def _entries(rows: DataFrame) -> DataFrame:
     """(root, n, toks) to (token, root, span): one entry a token and group in each batch; span is least size, most size."""
 
     def run(batches):
-        for batch in batches:
+        for batch in sliced(batches):
             lists = batch.column(2)
             lens = np.diff(lists.offsets.to_numpy())
             token = lists.flatten().to_numpy(zero_copy_only=False)
@@ -185,7 +187,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Da
 
     def run(batches):
         hashes, text, held = WordHashes(), None, None
-        for batch in batches:
+        for batch in sliced(batches):
             found = []
             for ta, tb in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
                 if tb != text:
@@ -212,7 +214,7 @@ def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
 
     def run(batches):
         hashes = WordHashes()
-        for batch in batches:
+        for batch in sliced(batches):
             toks = [shingle_set(t, hashes, width).tobytes() for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(toks, pa.binary())], ["_id", "toks"])
 
@@ -247,7 +249,7 @@ def _opened(docs: DataFrame, known: DataFrame, opened: DataFrame, width: int, pe
     rows = asks.join(blocks.hint("merge"), ["root_b", "band_b"]).select("node_a", "own", "members")
 
     def run(batches):
-        for batch in batches:
+        for batch in sliced(batches):
             found = ([], [])
             for node, own, members in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 own = np.frombuffer(own, np.uint64)

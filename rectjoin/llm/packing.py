@@ -21,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import written
+from .common import sliced, written
 from .tokens import encoder as kept_encoder
 from .tokens import tokenizer_path
 
@@ -36,7 +36,7 @@ def pieces(docs: DataFrame, size: int = SIZE, path: str | None = None, id_col: s
 
     def run(batches):
         encoder = kept_encoder(path)
-        for batch in batches:
+        for batch in sliced(batches, 4000):
             known, out = {}, ([], [], [], [], [])
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 if (cut := known.get(text)) is None:
