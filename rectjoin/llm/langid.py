@@ -47,12 +47,12 @@ class Grams:
 
         Letters are lower-cased, everything else is a blank. A gram counts if it has a letter (3: in its middle).
         """
-        joined = "  ".join(x.lower() for x in texts) + "  "
+        joined = "  " + "  ".join(x.lower() for x in texts) + "  "
         code = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
         is_letter = self.letter[np.minimum(code, len(self.letter) - 1)]
         code = np.where(is_letter, code, np.uint32(32))
         lens = np.fromiter((len(x.lower()) + 2 for x in texts), np.int64, len(texts))
-        starts = np.cumsum(lens) - lens
+        starts = np.cumsum(lens) - lens + 1  # the blank before a text belongs to its first gram
         one = code * np.uint32(_MIX[0])
         two = np.empty_like(one)
         two[:-1] = (one[:-1] ^ (one[:-1] >> np.uint32(15))) * np.uint32(_MIX[1]) + code[1:] + np.uint32(1)

@@ -163,7 +163,7 @@ def scan(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", te
         return F.expr(f"transform(filter(sequence(1, greatest(size(_words), 1)), i -> i <= size(_words) - {k - 1}), i -> array_join(slice(_words, i, {k}), ' '))")
 
     each = lines.select("doc_id", "_row", "paragraph", F.explode(F.array_distinct(F.concat(grams(1), grams(2), grams(3)))).alias("gram"))
-    key = ["doc_id", "_row", "paragraph"]
+    key, place = ["doc_id", "_row", "paragraph"], ["_row", "paragraph"]  # ids may be null
     scored = each.join(weights, "gram").groupBy(*key).agg(*(F.sum(s).alias(s) for s in sums))
     z = [(F.col(s) + F.lit(float(b))) / F.lit(float(model.temperature)) for s, b in zip(sums, model.bias)]
     top = F.greatest(*z)
@@ -179,8 +179,8 @@ def scan(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", te
     templates = [(k, f, g) for k, f, grams_, _ in pieces for g in sorted(longest(grams_))]
     sizes = {k: sum(1 for x in templates if x[0] == k) for k, *_ in pieces}
     known = F.broadcast(_relation(spark, [f"({k}, {quote(f)}, {quote(g)}, {sizes[k]})" for k, f, g in templates], "template, _family, gram, _size"))
-    alike = each.join(known, "gram").groupBy(*key, "template", "_family", "_size").count()
-    alike = alike.groupBy(*key, F.col("_family").alias("_best")).agg(F.max(F.col("count") / F.col("_size")).alias("similarity"))
-    out = guessed.join(alike, [*key, "_best"], "left").withColumn("similarity", F.coalesce("similarity", F.lit(0.0)))
+    alike = each.join(known, "gram").groupBy(*place, "template", "_family", "_size").count()
+    alike = alike.groupBy(*place, F.col("_family").alias("_best")).agg(F.max(F.col("count") / F.col("_size")).alias("similarity"))
+    out = guessed.join(alike, [*place, "_best"], "left").withColumn("similarity", F.coalesce("similarity", F.lit(0.0)))
     sure = F.col("probability") >= model.threshold
     return out.select("doc_id", "paragraph", F.when(sure, F.col("_best")).otherwise("unknown").alias("family"), "probability", "similarity", (sure & (F.col("similarity") >= CONFIRM)).alias("confirmed"))
