@@ -84,7 +84,7 @@ def validate_rects(df: DataFrame, on_bad: str = "drop") -> DataFrame:
     ``drop`` leaves them out, ``swap`` turns the ends of the latter, ``error`` fails the job on any.
     """
     if on_bad == "swap":
-        df = df.withColumns({f"{a}{e}": f(f"{a}l", f"{a}u") for a in "xy" for e, f in (("l", F.least), ("u", F.greatest))})
+        df = df.withColumns({f"{a}{e}": F.when(F.col(f"{a}l") > F.col(f"{a}u"), F.col(f"{a}{o}")).otherwise(F.col(f"{a}{e}")) for a in "xy" for e, o in ("lu", "ul")})
     ok = F.col("rid").isNotNull() & (F.col("xl") <= F.col("xu")) & (F.col("yl") <= F.col("yu"))
     for c in COORDS:
         ok = ok & F.col(c).isNotNull() & ~F.isnan(c)
