@@ -19,7 +19,7 @@ LETTERS = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
 NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
-MOST_PIECES = 400_000
+MOST_PIECES = 150_000
 #: Bytes that byte-level BPE writes as themselves; the others follow from 256 on, in order.
 SELF_BYTES = [*range(33, 127), *range(161, 173), *range(174, 256)]
 BYTE_CHARS = {b: b for b in SELF_BYTES} | {b: 256 + i for i, b in enumerate(x for x in range(256) if x not in SELF_BYTES)}
