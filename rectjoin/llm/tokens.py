@@ -19,7 +19,10 @@ LETTERS = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
 NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
-MOST_PIECES = 150_000
+PLAIN = re.compile(r" ?[!-~]+")
+#: Pieces kept (about 150 bytes each): the first ones met, until so many misses for each piece kept.
+MOST_PIECES = 300_000
+RENEWAL = 8
 #: Bytes that byte-level BPE writes as themselves; the others follow from 256 on, in order.
 SELF_BYTES = [*range(33, 127), *range(161, 173), *range(174, 256)]
 BYTE_CHARS = {b: b for b in SELF_BYTES} | {b: 256 + i for i, b in enumerate(x for x in range(256) if x not in SELF_BYTES)}
@@ -41,7 +44,7 @@ class Encoder(dict):
         from tokenizers import Tokenizer
 
         super().__init__()
-        self.old: dict[str, bytes] = {}
+        self.misses = 0
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
         self.model = self.library.model
@@ -53,10 +56,14 @@ class Encoder(dict):
         return np.array(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def __missing__(self, piece: str) -> bytes:
-        if len(self) > MOST_PIECES:
-            self.old = dict(self)
+        self.misses += 1
+        written = ("Ġ" + piece[1:] if piece[0] == " " else piece) if PLAIN.fullmatch(piece) else piece.encode().decode("latin-1").translate(BYTE_CHARS)
+        ids = array("I", [t.id for t in self.model.tokenize(written)]).tobytes()
+        if len(self) < MOST_PIECES:
+            self[piece] = ids
+        elif self.misses > RENEWAL * MOST_PIECES:  # the texts have changed: learn anew
             self.clear()
-        self[piece] = ids = self.old.pop(piece, None) or array("I", [t.id for t in self.model.tokenize(piece.encode().decode("latin-1").translate(BYTE_CHARS))]).tobytes()
+            self.misses = 0
         return ids
 
     def encode(self, text: str | None) -> bytes:
