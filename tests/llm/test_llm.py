@@ -1,5 +1,6 @@
 """Each operator against a plain version, and on odd tables."""
 
+import functools
 import random
 import zlib
 from collections import Counter
@@ -151,11 +152,17 @@ def test_tiles_against_plain():
         assert [x[2] for x in decontam.tiles(item, np.array(text, dtype=np.int64), 3)] == want
 
 
-def plain_ids(text):
+@functools.cache
+def library():
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokens.tokenizer_path())
     t.encode_special_tokens = True
+    return t
+
+
+def plain_ids(text):
+    t = library()
     return [*t.encode(text or "", add_special_tokens=False).ids, 0]
 
 
@@ -165,6 +172,16 @@ def test_encoder_equals_library(docs):
     assert all(np.frombuffer(e.encode(t), "<u4").tolist() == plain_ids(t)[:-1] for t in texts)
 
 
+def test_encoder_renews_its_pieces(monkeypatch):
+    monkeypatch.setattr(tokens, "MOST_PIECES", 3)
+    e, r = tokens.Encoder(tokens.tokenizer_path()), random.Random(4)
+    parts = ["a", "bc", " ", "  ", "\n", "\t", "'s", "'ll", "'", ".", "12", "é", "€", "Z", "Ġ", "\n "]
+    for _ in range(2000):
+        text = "".join(r.choices(parts, k=r.randrange(12)))
+        assert np.frombuffer(e.encode(text), "<u4").tolist() == plain_ids(text)[:-1]
+        assert len(e) <= 3 and e.misses <= tokens.RENEWAL * 3
+
+
 def test_simple8b(odd, empty):
     rng = np.random.default_rng(0)
     for bits in (1, 4, 9, 16, 33, 60, 64):
