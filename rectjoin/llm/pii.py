@@ -9,8 +9,10 @@ addresses stay addresses. Names get a given name of the same gender and script a
 
 A permutation never gives two entities one surrogate. What could clash (names, a surrogate that is a real
 entity of the corpus or the entity itself) is found on the table of distinct entities; the entity takes its
-next attempt until there is no clash. That table is joined, never collected: only texts with an entity that
-needed another attempt take part in the join, all others are rewritten in one pass.
+next attempt. What still clashes after ``KEYED`` attempts is ranked and gets a permuted rank, written in the
+format and script of its kind, in a space that grows with the table and with every round, so that a round comes
+without a clash. That table is joined, never collected: only texts with an entity that needed another attempt
+take part in the join, all others are rewritten in one pass.
 
 Defined results: a null text stays null with 0 entities. Entities are found left to right, the earliest and
 then the first kind wins. The same entity, in any case or spacing, always has the same surrogate. Rows that
@@ -22,6 +24,8 @@ from __future__ import annotations
 import hashlib
 import hmac
 import re
+import unicodedata
+from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -30,7 +34,8 @@ from pyspark.sql import functions as F
 from .common import rows_with, rows_without, written
 
 ROUNDS = 8
-ATTEMPTS = 30
+#: Attempts by the key alone, before ranks.
+KEYED = 4
 #: Given names by script and gender.
 GIVEN = {
     ("latin", "f"): "Anna Maria Julia Laura Sarah Emma Marie Sophie Claire Lucia Carmen Elena Ingrid Greta Heidi Nora Alice Emily Grace Olivia Camille Amelie Ines Paula".split(),
@@ -93,24 +98,72 @@ def permuted(x: int, size: int, key: bytes, tweak: str) -> int:
             return x
 
 
+@lru_cache(100_000)
+def place(c: str) -> tuple[int, str] | None:
+    """A character's place and alphabet. Letters and digits outside ``ALPHABETS`` have those of their kind among their 256 neighbours."""
+    if c in _AT or not c.isalnum():
+        return _AT.get(c)
+    of = lambda d: (d.isalnum(), unicodedata.category(d), d.lower() == d)
+    near = "".join(d for d in map(chr, range(ord(c) & ~255, (ord(c) | 255) + 1)) if d not in _AT and of(d) == of(c))
+    return near.index(c), near
+
+
 def same_shape(text: str, key: bytes, tweak: str) -> str:
-    """A permutation of the strings of one shape; characters outside the alphabets stay."""
+    """A permutation of the strings of one shape; what is no letter or digit stays."""
     value = size = 0
     for c in text:
-        if c in _AT:
-            i, a = _AT[c]
-            value, size = value * len(a) + i, (size or 1) * len(a)
+        if at := place(c):
+            value, size = value * len(at[1]) + at[0], (size or 1) * len(at[1])
     if not size:
         return text
     value, out = permuted(value, size, key, tweak), []
     for c in reversed(text):
-        if c in _AT:
-            value, i = divmod(value, len(_AT[c][1]))
-            c = _AT[c][1][i]
+        if at := place(c):
+            value, i = divmod(value, len(at[1]))
+            c = at[1][i]
         out.append(c)
     return "".join(reversed(out))
 
 
+def numeral(x: int, size: int, signs, least: int = 1) -> str:
+    """A number below ``size`` in the given signs; as many for every number."""
+    width, n = least, len(signs)
+    while n**width < size:
+        width += 1
+    out = []
+    for _ in range(width):
+        x, i = divmod(x, n)
+        out.append(signs[i])
+    return "".join(reversed(out))
+
+
+def ranked_surrogate(kind: str, norm: str, rank: int, size: int, key: bytes, gender: str = "") -> str:
+    """The surrogate of a rank below ``size``, in normal form: no two ranks of a kind share one, nor two sizes unless they need as many signs."""
+    tweak = f"{kind}|rank"
+    if kind in ("ssn", "card", "phone", "iban"):
+        head = {"phone": norm[:1] if norm.startswith("+") else "", "iban": norm[:2]}.get(kind, "")
+        width = max(len(norm) - len(head) - (kind == "card"), len(str(size - 1)))
+        made = f"{head}{permuted(rank, 10**width, key, tweak):0{width}d}"
+        if kind == "card":
+            right = next(int(d) for d in "0123456789" if luhn(made + d))
+            made += str(right if luhn(norm) else (right + 1) % 10)
+        return made
+    if kind == "secret":  # signs beyond f aren't hexadecimal
+        signs = "0123456789abcdef" if re.fullmatch("[0-9a-f]+", norm) else "ghijklmnopqrstuvwxyz"
+        width = len(numeral(0, size, signs, len(norm)))
+        return numeral(permuted(rank, len(signs) ** width, key, tweak), size, signs, width)
+    x = permuted(rank, size, key, tweak)
+    if kind == "ip":
+        return ".".join(map(str, x.to_bytes(max(4, -(-(size - 1).bit_length() // 8)), "big")))
+    if kind == "email":
+        domain, top = norm.rsplit("@", 1)[1].rsplit(".", 1)
+        signs = next((at[1] for c in norm if c.isalpha() and (at := place(c)) and len(at[1]) > 1), ALPHABETS[1])
+        return f"{numeral(x, size, signs)}@{same_shape(domain, key, tweak)}.{top}"
+    starts, ends = SURNAME["cyrillic" if re.search("[а-яё]", norm) else "latin"]
+    *given, _ = surrogate(kind, norm, 0, key, gender).split()
+    return " ".join((*given, numeral(x, size, starts) + ends[0]))
+
+
 def gender_of(text: str) -> str:
     """By the title, or by the given name; '' if neither tells."""
     first = text.split()[0].rstrip(".")
@@ -179,7 +232,7 @@ def dressed(kind: str, mention: str, made: str) -> str:
     if kind in ("ip", "secret"):
         return made
     chars = iter(made.lstrip("+"))
-    return "".join(next(chars, "") if c.isalnum() else c for c in mention)
+    return "".join([next(chars, "") if c.isalnum() else c for c in mention]) + "".join(chars)
 
 
 def entities(text: str | None) -> list[tuple[int, int, str, str]]:
@@ -222,21 +275,37 @@ def entity_table(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInArrow(run, "kind string, norm string, gender string").groupBy("kind", "norm").agg(F.max("gender").alias("gender"), F.min("gender").alias("_other"))
 
 
-def _made(table: DataFrame, key: bytes) -> DataFrame:
+def _made(table: DataFrame, key: bytes, size: int = 0) -> DataFrame:
+    """Surrogates of the table's attempts, or of its ranks below ``size``."""
+    columns = ["kind", "norm", "gender", "attempt", "mixed"]
+
     def run(batches):
         for batch in batches:
-            kind, norm, gender, attempt = (batch.column(c).to_pylist() for c in ("kind", "norm", "gender", "attempt"))
-            made = [surrogate(k, n, a, key, g) for k, n, g, a in zip(kind, norm, gender, attempt)]
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("kind", "norm", "gender", "attempt", "mixed")), pa.array(made, pa.string())], ["kind", "norm", "gender", "attempt", "mixed", "made"])
+            kind, norm, gender, last = (batch.column(c).to_pylist() for c in ("kind", "norm", "gender", "rank" if size else "attempt"))
+            made = [ranked_surrogate(k, n, x, size, key, g) if size else surrogate(k, n, x, key, g) for k, n, g, x in zip(kind, norm, gender, last)]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in columns), pa.array(made, pa.string())], [*columns, "made"])
 
-    return table.select("kind", "norm", "gender", "attempt", "mixed").mapInArrow(run, "kind string, norm string, gender string, attempt int, mixed boolean, made string")
+    return table.select(*columns, *(["rank"] if size else [])).mapInArrow(run, "kind string, norm string, gender string, attempt int, mixed boolean, made string")
+
+
+def _ranked(table: DataFrame) -> DataFrame:
+    """The table with the ranks 0 ... n - 1 of (kind, norm); only the rows of each partition are counted in the driver."""
+    placed = written(table.orderBy("kind", "norm").withColumn("_at", F.monotonically_increasing_id()), "placed")
+    part = F.shiftright("_at", 33)
+    first, before = [(-1, 0)], 0
+    for p, n in sorted(tuple(x) for x in placed.groupBy(part.alias("_part")).count().collect()):
+        first.append((p, before))
+        before += n
+    starts = table.sparkSession.createDataFrame(first, "_part long, _first long")
+    return placed.withColumn("_part", part).join(F.broadcast(starts), "_part").withColumn("rank", F.col("_first") + F.col("_at").bitwiseAND((1 << 33) - 1)).drop("_part", "_first", "_at")
 
 
 def surrogates(docs: DataFrame, key: bytes) -> DataFrame:
     """(kind, norm, made, attempt, mixed) for every distinct entity, without a clash."""
     table = entity_table(docs).select("kind", "norm", "gender", F.lit(0).alias("attempt"), (F.col("gender") != F.col("_other")).alias("mixed"))
     table = written(_made(table, key), "surrogates")
-    for _ in range(ATTEMPTS):
+    tries = size = 0
+    while True:
         # Of those with one surrogate the smallest stays; nobody may get a real entity.
         shared = table.groupBy("kind", "made").agg(F.min("norm").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("kind", "made", "first")
         real = table.select("kind", F.col("norm").alias("made"), F.lit(True).alias("real"))
@@ -245,9 +314,12 @@ def surrogates(docs: DataFrame, key: bytes) -> DataFrame:
         marked = written(marked.withColumn("clash", clash), "marked")
         if not marked.where("clash").limit(1).count():
             return marked.select("kind", "norm", "made", "attempt", "mixed")
-        again = _made(marked.where("clash").withColumn("attempt", F.col("attempt") + 1), key)
+        tries += 1
+        again = marked.where("clash").withColumn("attempt", F.col("attempt") + 1)
+        if tries >= KEYED:  # each round has longer surrogates than the last, soon longer than any entity
+            size = 1024 * (size or table.count())
+        again = _made(_ranked(again) if size else again, key, size)
         table = written(marked.where("NOT clash").select(*again.columns).unionByName(again), "surrogates")
-    raise RuntimeError(f"clashes after {ATTEMPTS} attempts")
 
 
 def replace(docs: DataFrame, key: bytes = b"rectjoin", text_col: str = "text") -> DataFrame:

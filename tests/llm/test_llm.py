@@ -288,6 +288,31 @@ def test_pii_clashes_are_solved(spark, monkeypatch):
     assert len({r.text for r in pii.replace(docs, b"k").collect()}) == 5
 
 
+def test_pii_tries_that_cannot_end(spark, monkeypatch):
+    key, letters = b"k", "abcdefghijklmnopqrstuvwxyz"
+    odd = ["写信@公司.中国", "α@β.γρ", "_@_._", "_@__._", "a1@b.中"]
+    mails = [f"{a}@{b}.zz" for a in letters for b in letters] + odd  # every address of a shape is taken
+    rows = pii.replace(spark.createDataFrame([(i, f"to {m} now") for i, m in enumerate(mails)], "doc_id long, text string"), key).collect()
+    made = [r.text[3:-4] for r in sorted(rows)]
+    assert len(set(made)) == len(mails) and not set(made) & set(mails) and all(r.n_entities == 1 for r in rows)
+    assert [pii.entities(m)[0][2:] for m in made] == [("email", m) for m in made]
+    assert not set(made[-5]) & set("写信公司") and made[-5].endswith(".中国")
+    # No attempt by the key helps: names, and every other kind.
+    monkeypatch.setattr(pii, "surrogate", lambda kind, norm, attempt, key, gender="": "anna same" if " " in norm else "same")
+    names = [f"Mr {x.upper()}{y}x" for x in letters for y in letters] + [f"Anna {x.upper()}ova" for x in letters]
+    rows = pii.replace(spark.createDataFrame([(i, m) for i, m in enumerate(names)], "doc_id long, text string"), key).collect()
+    assert len({r.text for r in rows}) == len(names) and not {r.text for r in rows} & set(names)
+
+
+def test_pii_ranked_surrogates():
+    for kind, norm in (("ip", "10.0.0.1"), ("ssn", "123456789"), ("card", "4111111111111111"), ("card", "4111111111111112"), ("phone", "+4930123"), ("phone", "017123"), ("iban", "DE00AB"), ("secret", "0a" * 16), ("secret", "sk-abc"), ("email", "_@_._"), ("name", "smith"), ("name", "иван петров")):
+        small, large = ({pii.ranked_surrogate(kind, norm, x, size, b"k") for x in range(200)} for size in (200, 10**18))
+        assert len(small) == len(large) == 200 and min(map(len, large)) >= min(map(len, small))
+        if kind == "card":
+            assert {pii.luhn(x) for x in small | large} == {pii.luhn(norm)}
+    assert pii.dressed("ssn", "123-45-6789", "98765432100") == "987-65-432100"
+
+
 def test_rollup(spark, odd, empty):
     held = token_rollup.Rollup(spark, token_rollup.scratch(spark, "t"))
     assert held.totals().count() == 0
