@@ -23,6 +23,8 @@ ORACLES: dict[str, str] = {}
 
 #: Bounds of the given tables' domains that queries on fixed grids use, the same in Spark and in the SQL.
 SHIP_SALE = Bounds(9000.0, 0.0, 12000.0, 110000.0)
+#: Geometries of more rows are shuffled.
+BROADCAST_ROWS = 200_000
 
 
 def add(name: str, oracle: str | None = None):
@@ -170,6 +172,22 @@ def _refine(spark, sf_dir):
     return flat(refine.filter_refine(r, s, refine.path_meets_box, paths, boxes, spec=GridSpec("grid", specs(r, s)["none"].bounds, 4, 8)), "ordbox", "sale")
 
 
+def path_pairs(items: DataFrame, r: DataFrame, s: DataFrame) -> DataFrame:
+    """Orders and boxes of ``s`` that an item of the order lies in; geometries are broadcast only below a counted number of rows."""
+    small = lambda df: F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
+    vertex = F.struct(F.expr("CAST(unix_date(CAST(l_shipdate AS DATE)) AS DOUBLE)").alias("x"), F.col("l_extendedprice").alias("y"))
+    paths = items.groupBy(F.col("l_orderkey").alias("rid")).agg(F.sort_array(F.collect_list(vertex)).alias("geom"))  # an order's items
+    boxes = s.select("rid", F.struct("xl", "yl", "xu", "yu").alias("geom"))
+    return refine.filter_refine(r, s, refine.path_meets_box, small(paths), small(boxes), spec=GridSpec("grid", specs(r, s)["none"].bounds, 4, 8))
+
+
+@add("refine_ordpath_all")
+def _refine_all(spark, sf_dir):
+    """As ``refine_ordpath``, over every order."""
+    r, s = (rect_view(spark, sf_dir, v) for v in ("ordbox", "sale"))
+    return flat(path_pairs(spark.read.parquet(f"{sf_dir}/lineitem.parquet"), r, s), "ordbox", "sale")
+
+
 @add("mbr_ordbox", duck_view("ordbox"))
 def _mbr(spark, sf_dir):
     items = spark.read.parquet(f"{sf_dir}/lineitem.parquet").withColumn("day", F.expr("unix_date(CAST(l_shipdate AS DATE))"))
@@ -358,6 +376,13 @@ def _fat(spark, sf_dir):
     return rel.partner_counts(r, s, spec=GridSpec("grid", specs(r, s)["none"].bounds, 4, 8)).withColumnRenamed("r_id", "r_l_orderkey")
 
 
+@add("fat_count_all")
+def _fat_all(spark, sf_dir):
+    """As ``fat_count_w10``, over every order."""
+    r, s = (rect_view(spark, sf_dir, v) for v in ("ordbox", "sale"))
+    return rel.partner_counts(r, s, spec=GridSpec("grid", specs(r, s)["none"].bounds, 4, 8)).withColumnRenamed("r_id", "r_l_orderkey")
+
+
 # Relational surroundings ------------------------------------------------------------------------------------------
 @add("semi_w3", f"{duck_sides('w3')} SELECT o_orderkey FROM r WHERE EXISTS (SELECT 1 FROM s WHERE {MEET})")
 def _semi(spark, sf_dir):

@@ -142,6 +142,27 @@ def test_choice_agrees_with_exact_counts(spark):
     assert measure.axis_accuracy(queries, phi=1)["accuracy"] == 1.0
 
 
+def test_fat_joins_take_every_order(spark, tmp_path):
+    import datetime
+
+    from rectjoin.plans.queries import QUERIES
+
+    g, day = np.random.default_rng(3), datetime.date(1995, 1, 1)
+    items = [(k, day + datetime.timedelta(int(d)), float(p)) for k in range(1, 41) for d, p in zip(g.integers(0, 30, 3), g.integers(0, 1000, 3))]
+    orders = [(k, day + datetime.timedelta(int(g.integers(0, 30))), 5.0 * float(g.integers(0, 1000)), k) for k in range(1, 81)]
+    spark.createDataFrame(items, "l_orderkey long, l_shipdate date, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame(orders, "o_orderkey long, o_orderdate date, o_totalprice double, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    at = lambda d: float((d - datetime.date(1970, 1, 1)).days)
+    s = [(k, at(d), 0.2 * v, at(d) + 1 + c % 3, 0.21 * v) for k, d, v, c in orders]
+    own = {k: [(at(d), p) for n, d, p in items if n == k] for k in range(1, 41)}
+    r = [(k, min(x for x, _ in v), min(y for _, y in v), max(x for x, _ in v), max(y for _, y in v)) for k, v in own.items()]
+    pairs = brute(r, s)
+    counts = {x.r_l_orderkey: x.partners for x in QUERIES["fat_count_all"](spark, str(tmp_path)).collect()}
+    assert counts == {k: n for k in own if (n := sum(a == k for a, _ in pairs))} and len(counts) > 2
+    met = sorted((k, b[0]) for k, v in own.items() for b in s if any(b[1] <= x <= b[3] and b[2] <= y <= b[4] for x, y in v))
+    assert met and sorted(tuple(x) for x in QUERIES["refine_ordpath_all"](spark, str(tmp_path)).collect()) == met
+
+
 def test_entry(spark):
     import __spark_entry__
 
