@@ -55,7 +55,6 @@ def tiles(item: list[int], text: np.ndarray, least: int) -> list[tuple[int, int,
         # Windows of unmarked words only, on both sides.
         open_item = np.flatnonzero(rolling_sum(free_item, width) == width)
         open_text = np.flatnonzero(rolling_sum(free_text, width) == width)
-        found = []
         if len(open_item) and len(open_text):
             at: dict[int, list[int]] = {}
             for p, h in zip(open_item.tolist(), rolling(pattern, width)[open_item].tolist()):
@@ -63,11 +62,14 @@ def tiles(item: list[int], text: np.ndarray, least: int) -> list[tuple[int, int,
             hashes = rolling(text, width)[open_text]
             hit = np.isin(hashes, np.fromiter(at, np.uint64, len(at)))
             for t, h in zip(open_text[hit].tolist(), hashes[hit].tolist()):
-                found += [(p, t) for p in at[h] if (pattern[p : p + width] == text[t : t + width]).all()]
-        for p, t in found:  # windows are tried from long to short, so each match is as long as the window
-            if free_item[p : p + width].all() and free_text[t : t + width].all():
-                free_item[p : p + width] = free_text[t : t + width] = False
-                out.append((p, t, width))
+                if not at[h] or not free_text[t : t + width].all():
+                    continue
+                at[h] = [p for p in at[h] if free_item[p : p + width].all()]
+                # Windows are tried from long to short, so each match is as long as the window.
+                p = next((p for p in at[h] if (pattern[p : p + width] == text[t : t + width]).all()), None)
+                if p is not None:
+                    free_item[p : p + width] = free_text[t : t + width] = False
+                    out.append((p, t, width))
         if not free_item.any():
             break
         width = min(width - 1, longest_open(pattern, text, free_item, free_text, width - 1, least))
@@ -102,6 +104,7 @@ class Benchmark:
     def __init__(self, items: list[tuple[int, str]], least: int):
         self.least, self.vocabulary, self.items = least, {}, []
         seeds: dict[int, set[int]] = {}
+        self.often: dict[tuple[int, int], int] = {}  # how often a seed stands in an item, beyond once
         self.widths = set()
         for item_id, text in items:
             ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in WORD.findall((text or "").lower())]
@@ -110,7 +113,9 @@ class Benchmark:
                 self.items.append((item_id, ids))
                 self.widths.add(k)
                 for h in rolling(np.array(ids), k).tolist():
-                    seeds.setdefault(h, set()).add(at)
+                    if at in (held := seeds.setdefault(h, set())):
+                        self.often[h, at] = self.often.get((h, at), 1) + 1
+                    held.add(at)
         self.seeds = {h: sorted(v) for h, v in seeds.items()}
         self.keys = np.sort(np.fromiter(self.seeds, np.uint64, len(self.seeds)))
 
@@ -119,7 +124,7 @@ class Benchmark:
         words = WORD.findall((text or "").lower())
         ids = np.fromiter(map(self.vocabulary.get, words, repeat(0)), np.int64, len(words))
         known = ids > 0
-        near, places = {}, np.zeros(len(ids) + 1, np.int64)
+        seen, places = set(), np.zeros(len(ids) + 1, np.int64)
         for k in self.widths:
             at = np.flatnonzero(rolling_sum(known, k) == k)
             if not len(at):
@@ -133,19 +138,22 @@ class Benchmark:
             for t, x in zip(at[hit].tolist(), h[hit].tolist()):
                 places[t] += 1
                 places[t + k] -= 1
-                for item in self.seeds[x]:
-                    near.setdefault(item, set()).add(x)
-        if not near:
+                seen.add(x)
+        if not seen:
             return []
+        near: dict[int, int] = {}  # windows of an item that the text has too
+        for x in seen:
+            for item in self.seeds[x]:
+                near[item] = near.get(item, 0) + self.often.get((x, item), 1)
         # Words that no seed touches can't be in a tile; one blank stands for each run of them.
         inside = np.cumsum(places[:-1]) > 0
         keep = inside | np.append(False, inside[:-1])
         short = np.where(inside, ids, -1)[keep]
         out = []
-        for item, seen in near.items():
+        for item, windows in near.items():
             item_id, own = self.items[item]
             k = min(self.least, len(own))
-            if len(seen) * k < coverage * len(own):  # the seeds can't cover enough
+            if windows * k < coverage * len(own):  # the seeds can't cover enough
                 continue
             found = tiles(own, short, k)
             if (covered := sum(x[2] for x in found)) >= coverage * len(own):

@@ -130,6 +130,15 @@ def test_decontamination(spark, odd, empty):
     assert decontam.contaminated(empty, items).count() == 0 and decontam.contaminated(odd, bench(spark, [])).count() == 0
 
 
+def test_decontamination_of_items_that_repeat(spark):
+    items = ["la " * 20, "0 1 " * 20, "oh when the saints march " * 12]
+    texts = [f"so {x} end" for x in items] + ["la la la la la la", "oh when the saints march", "la " * 3000]
+    docs, held = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), bench(spark, list(enumerate(items)))
+    got = {(r.doc_id, r.item_id, r.tiles, r.covered) for r in decontam.contaminated(docs, held).collect()}
+    assert got == {(0, 0, 1, 20), (1, 1, 1, 40), (2, 2, 1, 60), (5, 0, 1, 20)}
+    assert sorted(r.doc_id for r in decontam.clean_rows(docs, held).collect()) == [3, 4]
+
+
 def test_tiles_against_plain():
     r = random.Random(5)
     for _ in range(60):
