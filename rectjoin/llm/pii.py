@@ -43,6 +43,14 @@ GIVEN = {
     ("cyrillic", "f"): "Анна Мария Елена Ольга Наталья Ирина Татьяна Светлана Екатерина Юлия Дарья Полина".split(),
     ("cyrillic", "m"): "Иван Пётр Сергей Андрей Дмитрий Николай Алексей Михаил Борис Владимир Павел Олег".split(),
 }
+#: More given names that are found, by gender; surrogates don't use them. Names that are common words are left out.
+KNOWN = {
+    "f": "Linda Mary Patricia Jennifer Elizabeth Barbara Susan Jessica Karen Nancy Lisa Betty Margaret Sandra Ashley Kimberly Donna Michelle Carol Amanda Melissa Deborah Stephanie Rebecca Sharon Cynthia Kathleen Amy Angela Shirley Brenda Pamela Nicole Samantha Katherine Catherine Christine Helen Rachel Carolyn Janet Heather Diane Julie Joyce Victoria Kelly Christina Joan Evelyn Lauren Judith Megan Andrea Cheryl Hannah Jacqueline Martha Gloria Teresa Ann Anne Sara Madison Frances Kathryn Janice Jean Abigail Julie Isabella Charlotte Amelia Mia Ella Zoe Chloe Lucy Ursula Petra Sabine Monika Brigitte Susanne Birgit Gabriele Katharina Johanna Lena Leonie Franziska Anja Silke Martina Nathalie Isabelle Valérie Sylvie Céline Chantal Monique Françoise Hélène Léa Manon Élodie Aurélie Ana Isabel Pilar Rosa Teresa Marta Cristina Beatriz Raquel Lucía Sofía Valentina Ximena Giulia Chiara Francesca Alessandra Fatima Aisha Leila Yasmin Noor Zainab Priya Anjali Sunita Lakshmi Deepa Pooja Mei Xiu Yuki Sakura Yoko Keiko Hye Linh Ngoc Svetlana Olga Natalia Natasha Tatiana Irina Ekaterina Yulia Oksana Katarzyna Agnieszka Małgorzata Zofia Ebru Ayşe Emine Ngozi Amina".split(),
+    "m": "William Richard Joseph Charles Christopher Daniel Matthew Anthony Donald Steven Andrew Paul Joshua Kenneth Kevin Brian George Timothy Ronald Jason Edward Jeffrey Ryan Jacob Nicholas Gary Eric Jonathan Stephen Larry Justin Scott Brandon Benjamin Samuel Gregory Alexander Patrick Raymond Dennis Jerry Tyler Aaron Jose José Adam Nathan Zachary Douglas Kyle Noah Ethan Jeremy Walter Christian Keith Roger Terry Sean Gerald Harold Dylan Arthur Lawrence Bryan Billy Bruce Gabriel Joe Logan Albert Willie Alan Vincent Eugene Russell Philip Ralph Roy Louis Liam Lucas Mason Stefan Andreas Klaus Jürgen Wolfgang Günter Dieter Uwe Bernd Heinz Helmut Rainer Matthias Tobias Sebastian Florian Lukas Jonas Maximilian Philipp Friedrich Heinrich Ludwig Jean Jacques Michel Philippe Alain François Bernard Nicolas Laurent Olivier Christophe Frédéric Éric Stéphane Guillaume Mathieu Julien Manuel Antonio Francisco Juan Luis Jesús Jorge Fernando Rafael Sergio Alberto Diego Alejandro Andrés Ricardo Roberto Eduardo Giovanni Giuseppe Luca Matteo Lorenzo Mohammed Mohamed Muhammad Ahmed Ali Omar Hassan Hussein Ibrahim Yusuf Khalid Mustafa Mehmet Raj Rahul Amit Sanjay Arjun Vikram Suresh Ramesh Hiroshi Takashi Kenji Satoshi Haruto Minh Sergei Dmitri Vladimir Ivan Alexei Nikolai Mikhail Boris Igor Oleg Piotr Paweł Krzysztof Andrzej Tomasz Lars Sven Olaf Björn Kwame Chinedu Emeka".split(),
+    "": "Wei Li Jing Ming Hui Yan Xin Jun Lei Hao Yong Jie Min Jin Alex Chris Robin Kim Jordan Taylor".split(),
+    "f cyrillic": "Людмила Галина Валентина Нина Вера Надежда Любовь Оксана Александра Виктория Ксения Алина Маргарита Анастасия Софья Тамара Лариса Наталия".split(),
+    "m cyrillic": "Александр Виктор Юрий Анатолий Валерий Евгений Максим Игорь Константин Роман Антон Денис Никита Артём Кирилл Григорий Георгий Фёдор Петр Василий Вячеслав Станислав Тимур Руслан".split(),
+}
 #: Titles by gender.
 TITLES = {"f": "Mrs Ms Miss Frau Madame Mme Mlle Señora Sra Doña", "m": "Mr Mister Herr Monsieur Señor Sr Don", "": "Dr Prof Doctor Professor"}
 SURNAME = {"latin": ("ba ber bor dal den dor fal fer gar gor hal han kal kor lan lor mar mer nor pal per ral ren sal sen tal tor val ver wel".split(), "son mann ley ton ner rez let ard well ski".split()), "cyrillic": ("ба бер бор дал ден дор фал гар гор кал кор лан лор мар мер нор пал рал рен сал тал тор вал вер".split(), "ов ев ин енко ский ич".split())}
@@ -50,7 +58,19 @@ ALPHABETS = ("0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUV
 _AT = {c: (i, a) for a in ALPHABETS for i, c in enumerate(a)}
 _NAME = r"[A-ZÀ-ÖØ-ÞА-ЯЁ][^\W\d_]+(?:[-'’][A-ZÀ-ÖØ-ÞА-ЯЁ]?[^\W\d_]+)*"
 _TITLE = "|".join(sorted((t for v in TITLES.values() for t in v.split()), key=len, reverse=True))
-_GIVEN = "|".join(sorted((n for v in GIVEN.values() for n in v), key=len, reverse=True))
+
+
+def any_of(words) -> str:
+    """An expression for the longest of some words, branching letter by letter."""
+    tails: dict[str, set[str]] = {}
+    for w in words:
+        tails.setdefault(w[:1], set()).add(w[1:])
+    ends = tails.pop("", None) is not None
+    out = "|".join(re.escape(c) + (any_of(tail) if tail != {""} else "") for c, tail in sorted(tails.items()))
+    return f"(?:{out})?" if ends else f"(?:{out})"
+
+
+_GIVEN = any_of({n for v in (*GIVEN.values(), *KNOWN.values()) for n in v})
 KINDS = {
     "email": r"[\w.+-]+@[\w-]+(?:\.[\w-]+)+",
     "secret": r"(?<![\w/+])(?=[a-f0-9]*\d)(?=[a-f0-9]*[a-f])[a-f0-9]{32,64}(?!\w)|(?<!\w)(?:AKIA[A-Z0-9]{16}|gh[pousr]_\w{30,60}|sk-[\w-]{20,80})(?!\w)",
@@ -59,11 +79,12 @@ KINDS = {
     "ssn": r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])",
     "card": r"(?<![\w.-])\d(?:[ -]?\d){12,18}(?![\w]|[.-]\d)",
     "phone": r"(?<![\w.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?)\d{2,4}(?:[ .-]\d{2,4}){1,3}(?!\w)|(?<![\w.])\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}(?!\w)|(?<![\w.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\w-])",
-    "name": rf"(?<!\w)(?:(?:{_TITLE})\b\.?[ ](?:{_NAME})(?:[ ]{_NAME})?|(?:{_GIVEN})[ ]{_NAME})(?!\w)",
+    "name": rf"(?<!\w)(?:(?:{_TITLE})\b\.?[ ](?:{_NAME})(?:[ ]{_NAME})?|{_GIVEN}[ ]{_NAME})(?!\w)",
 }
 ENTITY = re.compile("|".join(f"(?P<{k}>{p})" for k, p in KINDS.items()))
 TITLE = re.compile(rf"(?:{_TITLE})\b\.?[ ]")
-_MAY = re.compile(rf"[@\d]|(?<!\w)(?:{_TITLE}|{_GIVEN})\b")
+#: A part of every entity.
+_MAY = re.compile(rf"[@\d]|(?<!\w)(?:AKIA|gh[pousr]_|sk-|(?:{_TITLE}|{_GIVEN})\b)")
 
 
 def normal(kind: str, text: str) -> str:
@@ -171,7 +192,7 @@ def gender_of(text: str) -> str:
         if g and first in titles.split():
             return g
     given = TITLE.sub("", text).split()[0]
-    return next((g for (_, g), names in GIVEN.items() if given in names), "")
+    return next((g for (_, g), names in GIVEN.items() if given in names), next((g[:1].strip() for g, names in KNOWN.items() if given in names), ""))
 
 
 def surrogate(kind: str, norm: str, attempt: int, key: bytes, gender: str = "") -> str:

@@ -313,6 +313,17 @@ def test_pii_tries_that_cannot_end(spark, monkeypatch):
     assert len({r.text for r in rows}) == len(names) and not {r.text for r in rows} & set(names)
 
 
+def test_pii_finds_names_and_keys_without_digits():
+    found = lambda text: [x[2:] for x in pii.entities(text)]
+    for name in ("Linda Brown", "Wei Zhang", "Li Na", "Людмила Сидорова", "Anna Lee", "Annabel"):
+        assert found(f"met {name} there") == ([("name", name)] if name != "Annabel" else [])
+    for key in ("AKIA" + "QWERTYUIOPASDFGH", "ghp_" + "a" * 36, "sk-" + "x" * 24):
+        assert found(f"the key is {key}") == [("secret", key)]
+    assert pii.gender_of("Linda Brown") == "f" and pii.gender_of("Wei Zhang") == "" and pii.gender_of("Виктор Цой") == "m"
+    for word in {n for v in (*pii.GIVEN.values(), *pii.KNOWN.values()) for n in v}:
+        assert found(f"{word} Brown") == [("name", f"{word} Brown")]
+
+
 def test_pii_ranked_surrogates():
     for kind, norm in (("ip", "10.0.0.1"), ("ssn", "123456789"), ("card", "4111111111111111"), ("card", "4111111111111112"), ("phone", "+4930123"), ("phone", "017123"), ("iban", "DE00AB"), ("secret", "0a" * 16), ("secret", "sk-abc"), ("email", "_@_._"), ("name", "smith"), ("name", "иван петров")):
         small, large = ({pii.ranked_surrogate(kind, norm, x, size, b"k") for x in range(200)} for size in (200, 10**18))
