@@ -23,10 +23,11 @@ def ref_cell(spec: GridSpec) -> Column:
 
 
 def ref_point(spec: GridSpec) -> Column:
-    """The same by coordinates: the later start isn't before the tile's, on the cut axes."""
+    """The same by coordinates: the later start isn't before the tile's, on the cut axes. Like the cells, the first tile
+    reaches below the bounds and the last one beyond them."""
     def one(a: str) -> Column:
         lo, hi = spec.bounds.of(a)
-        return (F.greatest(f"r_{a}l", f"s_{a}l") - F.lit(lo)) / F.lit(hi - lo) * F.lit(spec.k(a)) >= F.col(f"t{a}")
+        return (F.col(f"t{a}") == 0) | ((F.greatest(f"r_{a}l", f"s_{a}l") - F.lit(lo)) / F.lit(hi - lo) * F.lit(spec.k(a)) >= F.col(f"t{a}"))
 
     return reduce(Column.__and__, [one(a) for a in "xy" if spec.k(a) > 1], F.lit(True))
 
