@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +42,17 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def kept_texts(df: DataFrame, column: str, keep: Callable[[list[str | None]], list[bool]], rows: int = 1000) -> DataFrame:
+    """The rows whose text ``keep`` wants, as they are. Only that column goes through Python, in slices."""
+
+    @F.arrow_udf("boolean")
+    def wanted(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in arrays:
+            yield pa.array([k for at in range(0, len(texts), rows) for k in keep(texts.slice(at, rows).to_pylist())], pa.bool_())
+
+    return df.where(wanted(F.col(f"`{column}`")))
+
+
 def sliced(batches, rows: int = 1000):
     """Arrow batches in slices of so many rows, so that Python copies of their values stay small."""
     for batch in batches:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import sliced
+from .common import kept_texts, sliced, written
 
 LEAST = 5
 COVERAGE = 0.5
@@ -189,13 +189,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
 
 def clean_rows(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, least: int = LEAST) -> DataFrame:
     """The rows of ``docs`` that cover no item to the given share, as they are."""
-    at = docs.columns.index("text")
-    for block in _blocks(benchmark, "item_id", "text", least):
+    blocks, more = _blocks(benchmark, "item_id", "text", least), False
+    for block in blocks:
         shared = docs.sparkSession.sparkContext.broadcast(block)
-
-        def run(batches, shared=shared):
-            for batch in sliced(batches):
-                yield batch.filter(pa.array([not shared.value.matches(t, coverage) for t in batch.column(at).to_pylist()], pa.bool_()))
-
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = written(docs, "clean-of-a-block") if more else docs  # so that a task holds one block
+        docs, more = kept_texts(docs, "text", lambda texts, shared=shared: [not shared.value.matches(t, coverage) for t in texts]), True
     return docs

@@ -7,7 +7,7 @@ feature and label and one for each pair of neighbouring labels. It is trained he
 :mod:`training_pages` writes with their labels, by gradient ascent on the likelihood, and decoded by Viterbi.
 
 Defined results: null, empty or markup-only html gives an empty text. Unclosed and stray tags, and a cut-off
-end, are read as far as they go. White space inside a block is one space, blocks are joined by one line feed
+end, are read as far as they go; a button, drawing or frame that is closed in itself or by nothing hides no text. White space inside a block is one space, blocks are joined by one line feed
 in page order; blocks without text don't exist. Nothing is capped. Rows that repeat, and null ids or urls, are
 passed through. Only page_id, url and html are read.
 """
@@ -26,7 +26,9 @@ from pyspark.sql import functions as F
 FEATURE_BITS = 13
 #: Tags by how they cut text.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
+#: Elements whose text isn't the page's. What stands in one of ``LOOSE`` that nothing closes is read.
 SILENT = frozenset("script style template noscript title textarea select option button svg math iframe object canvas audio video datalist".split())
+LOOSE = SILENT - frozenset("script style template noscript title textarea option".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 ENDS_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
@@ -41,8 +43,9 @@ class Blocks(HTMLParser):
     def __init__(self):
         super().__init__(convert_charrefs=True)
         self.stack: list[tuple[str, tuple[str, ...]]] = []
+        self.marks: list[int] = []  # blocks before each open tag
         self.parts: list[str] = []
-        self.linked = self.silent = 0
+        self.linked = 0
         self.out: list[tuple[str, int, list]] = []
 
     def cut(self) -> None:
@@ -51,11 +54,14 @@ class Blocks(HTMLParser):
             self.out.append((text, self.linked, self.stack.copy()))
         self.parts, self.linked = [], 0
 
-    def pop_to(self, at: int) -> None:
+    def pop_to(self, at: int, closed: bool = False) -> None:
+        """Close the tags from a place on; closed: by the end tag of the first of them."""
         self.cut()
-        for tag, _ in self.stack[at:]:
-            self.silent -= tag in SILENT
-        del self.stack[at:]
+        for k in range(len(self.stack) - 1, at - 1, -1):
+            tag = self.stack[k][0]
+            if tag in SILENT and (tag not in LOOSE or (closed and k == at)):
+                del self.out[self.marks[k] :]
+        del self.stack[at:], self.marks[at:]
 
     def close_open(self, tags) -> None:
         for at in range(len(self.stack) - 1, -1, -1):
@@ -77,36 +83,35 @@ class Blocks(HTMLParser):
         if tag not in VOID:
             words = tuple(w for k, v in attrs if v and k in ("class", "id", "role", "itemprop", "aria-label") for w in TOKEN.findall(re.sub(r"([a-z])([A-Z])", r"\1 \2", v).lower()))
             self.stack.append((tag, words))
-            self.silent += tag in SILENT
+            self.marks.append(len(self.out))
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
+        if tag in SILENT:  # closed in itself
+            self.pop_to(len(self.stack) - 1, True)
 
     def handle_endtag(self, tag):
         for at in range(len(self.stack) - 1, -1, -1):
             if self.stack[at][0] == tag:
-                if tag in INLINE and at == len(self.stack) - 1:
-                    self.stack.pop()
-                elif tag not in INLINE:
-                    self.pop_to(at)
+                if tag in INLINE:
+                    del self.stack[at], self.marks[at]
                 else:
-                    del self.stack[at]
+                    self.pop_to(at, True)
                 return
         if tag not in INLINE:
             self.cut()
 
     def handle_data(self, data):
-        if not self.silent:
-            self.parts.append(data)
-            if any(t == "a" for t, _ in self.stack):
-                self.linked += len(data.strip())
+        self.parts.append(data)
+        if any(t == "a" for t, _ in self.stack):
+            self.linked += len(data.strip())
 
 
 def leaf_blocks(html: str | None) -> list[tuple[str, int, list]]:
     parser = Blocks()
     parser.feed(html or "")
     parser.close()
-    parser.cut()
+    parser.pop_to(0)
     return parser.out
 
 

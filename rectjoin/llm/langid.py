@@ -12,7 +12,7 @@ rows with a null id are scored like any other; only the id and the text column a
 
 from __future__ import annotations
 
-import re
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import sliced
+from .common import kept_texts, sliced
 
 BITS = 16
 PIECE = 1_000_000
@@ -28,12 +28,17 @@ PIECE = 1_000_000
 TRAIN_DOCS = 20_000
 #: More classes than this are refused, as the matrix is broadcast.
 MAX_LANGS = 512
-LETTER = re.compile(r"[^\W\d_]")
 _MIX = (0x9E3779B1, 0x85EBCA6B, 0xC2B2AE35)
 
 
+@functools.lru_cache(1)
 def _letters() -> np.ndarray:
-    return np.fromiter(map(str.isalpha, map(chr, range(0x30000))), bool, 0x30000)
+    """Which code points are letters; numbers that look like some (Ⅷ, ½, ①) aren't."""
+    return np.fromiter(map(str.isalpha, map(chr, range(0x110000))), bool, 0x110000)
+
+
+def has_letter(text: str | None) -> bool:
+    return any(map(str.isalpha, text or ""))
 
 
 class Grams:
@@ -49,7 +54,7 @@ class Grams:
         """
         joined = "  " + "  ".join(x.lower() for x in texts) + "  "
         code = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
-        is_letter = self.letter[np.minimum(code, len(self.letter) - 1)]
+        is_letter = self.letter[code]
         code = np.where(is_letter, code, np.uint32(32))
         lens = np.fromiter((len(x.lower()) + 2 for x in texts), np.int64, len(texts))
         starts = np.cumsum(lens) - lens + 1  # the blank before a text belongs to its first gram
@@ -124,7 +129,7 @@ class Model:
     def predict(self, texts: list[str | None], grams: Grams) -> tuple[list[str], np.ndarray]:
         if not self.langs or not texts:
             return ["und"] * len(texts), np.zeros(len(texts))
-        known = np.fromiter((bool(t) and LETTER.search(t) is not None for t in texts), bool, len(texts))
+        known = np.fromiter(map(has_letter, texts), bool, len(texts))
         joint = self.scores([t if k else None for t, k in zip(texts, known)], grams)
         best = joint.argmax(axis=1)
         share = 1 / np.exp(joint - joint.max(axis=1, keepdims=True)).sum(axis=1)
@@ -184,13 +189,15 @@ def identified_rows(docs: DataFrame, least_score: float = 0.5, most: int = TRAIN
     """The rows with a language, as they are: ``und`` and predictions below ``least_score`` go."""
     model = train(training_rows(docs, most))
     shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.log_prob, model.log_prior, model.bits))
-    schema, at = docs.schema, docs.columns.index("text")
 
-    def keep(batches):
-        own = Model(*shared.value)
-        grams = Grams(own.bits)
-        for batch in sliced(batches):
-            langs, scores = own.predict(batch.column(at).to_pylist(), grams)
-            yield batch.filter(pa.array([x != "und" and s >= least_score for x, s in zip(langs, scores)], pa.bool_()))
+    def keep(texts: list[str | None]) -> list[bool]:
+        own, grams = _own(shared)
+        langs, scores = own.predict(texts, grams)
+        return [x != "und" and s >= least_score for x, s in zip(langs, scores)]
+
+    return kept_texts(docs, "text", keep)
+
 
-    return docs.mapInArrow(keep, schema)
+def _own(shared) -> tuple[Model, Grams]:
+    own = Model(*shared.value)
+    return own, Grams(own.bits)

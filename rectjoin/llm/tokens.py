@@ -3,7 +3,7 @@
 The file's pre-tokenizer cuts a text into pieces that BPE treats one by one, so ids of a piece can be kept.
 Texts of common characters are cut here by the same pattern and only unseen pieces go to the library's model;
 a text with any other character, or any text where the file has another pre-tokenizer, goes to the library
-whole. Strings of special tokens are ordinary text.
+whole. So does a text that holds the string of an added token, which the library makes one id of.
 """
 
 from __future__ import annotations
@@ -34,6 +34,9 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+_KEPT: dict[str, Encoder] = {}
+
+
 class Encoder(dict):
     """text -> ids as little-endian unsigned 32-bit bytes."""
 
@@ -46,9 +49,9 @@ class Encoder(dict):
         super().__init__()
         self.misses = 0
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
         self.model = self.library.model
         shape = json.loads(self.library.to_str())
+        self.added = tuple(x["content"] for x in shape.get("added_tokens") or ())
         cut = shape.get("pre_tokenizer") or {}
         self.by_piece = cut.get("type") == "ByteLevel" and not cut.get("add_prefix_space") and cut.get("use_regex", True) and not shape.get("normalizer") and shape["model"]["type"] == "BPE" and not shape["model"].get("dropout")
 
@@ -69,16 +72,13 @@ class Encoder(dict):
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if not self.by_piece or not USUAL.fullmatch(text):
+        if not self.by_piece or not USUAL.fullmatch(text) or any(x in text for x in self.added):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
         return b"".join(map(self.__getitem__, PIECES.findall(text)))
 
 
 def encoder(path: str) -> Encoder:
     """The worker process' encoder for a file: its pieces stay known from task to task."""
-    import tokenizers
-
-    kept = tokenizers.__dict__.setdefault("_encoders_by_path", {})
-    if path not in kept:
-        kept[path] = Encoder(path)
-    return kept[path]
+    if path not in _KEPT:
+        _KEPT[path] = Encoder(path)
+    return _KEPT[path]
