@@ -5,8 +5,14 @@ the old count off and puts the new one on. A batch of changes is summed by key b
 is as small as its keys; sums have map-side combining, and no key is ever gathered. Totals are the sum of the
 committed batches; :meth:`Rollup.compact` folds batches into one.
 
-A batch is a Parquet folder named by its id. Spark's commit leaves ``_SUCCESS`` last, which makes the batch
-count: applying a committed id again does nothing, and what a lost driver left unfinished is written anew.
+A batch's sums are written to a folder of their own, which nobody reads until a *commit file* names it. That
+file appears by one rename that fails if its name is taken, so of several drivers that send one batch, at once or
+again, exactly one counts; what a lost driver left without a commit file is never read. A compaction is the
+commit of the next generation: it lists all batches that it stands for, of two at once only one succeeds, and
+batches committed meanwhile stay beside it.
+
+Tokenizer versions are files of the ``tokenizers`` library. A version is the file's name, so a new file is a new
+version with totals of its own.
 
 Defined results: a null source, language or text is kept as the key null or the count 0; null ids and rows
 that repeat count like any other; keys whose totals are all zero are left out; no batch gives no row. Extra
@@ -15,24 +21,45 @@ columns are not read.
 
 from __future__ import annotations
 
+import json
+import re
+import uuid
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from .common import scratch, written
+from .tokens import encoder as kept_encoder
+from .tokens import tokenizer_path
 
-#: The pattern that each tokenizer version counts.
-TOKENIZERS = {"words-1": r"[^\x20\x09-\x0D]+", "classes-2": r"[A-Za-z]+|[0-9]+|[^A-Za-z0-9\x20\x09-\x0D]"}
+#: The versions that the query keeps.
+TOKENIZERS = ("byte_bpe_50k", "word_bpe_49k")
 KEYS = ["source", "lang", "tokenizer"]
 SCHEMA = "source string, lang string, tokenizer string, docs long, tokens long"
 
 
-def per_document(docs: DataFrame, tokenizers: dict[str, str] | None = None, **more: Column) -> DataFrame:
+def token_count(text: Column, version: str, path: str | None = None) -> Column:
+    """The number of a text's ids, no end id."""
+    path = path or tokenizer_path(f"{version}.json")
+
+    @F.arrow_udf("long")
+    def count(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        encoder = kept_encoder(path)
+        for texts in arrays:
+            yield pa.array([len(encoder.encode(t)) // 4 for at in range(0, len(texts), 1000) for t in texts.slice(at, 1000).to_pylist()], pa.int64())
+
+    return count(text)
+
+
+def per_document(docs: DataFrame, tokenizers: tuple[str, ...] = TOKENIZERS, text: Column | str = "text") -> DataFrame:
     """(doc_id, source, lang, counts): what each tokenizer version makes of a text. Deletes and revisions need the
     old counts, so this small table is kept; texts are read once."""
-    text = F.coalesce("text", F.lit(""))
-    each = F.array(*(F.struct(F.lit(k).alias("tokenizer"), F.regexp_count(text, F.lit(p)).cast("long").alias("tokens")) for k, p in (tokenizers or TOKENIZERS).items()))
-    return docs.select("doc_id", "source", "lang", each.alias("counts"), *(c.alias(k) for k, c in more.items()))
+    text = F.col(text) if isinstance(text, str) else text
+    rows = docs.select("doc_id", "source", "lang", *(token_count(text, v).alias(f"_n{i}") for i, v in enumerate(tokenizers)))
+    each = F.array(*(F.struct(F.lit(v).alias("tokenizer"), F.col(f"_n{i}").alias("tokens")) for i, v in enumerate(tokenizers)))
+    return rows.select("doc_id", "source", "lang", each.alias("counts"))
 
 
 def changes(counts: DataFrame, sign: int = 1) -> DataFrame:
@@ -41,87 +68,123 @@ def changes(counts: DataFrame, sign: int = 1) -> DataFrame:
     return rows.select(*KEYS, "docs", (F.col("tokens") * sign).alias("tokens"))
 
 
-def bpe_counted(docs: DataFrame, version: str, path: str, sign: int = 1) -> DataFrame:
-    """Changes with counts of a byte-level BPE file's ids."""
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf(T.LongType())
-    def count(texts):
-        from .tokens import encoder as kept_encoder
-
-        encoder = kept_encoder(path)
-        return texts.map(lambda x: len(encoder.encode(x)) // 4)
-
-    return docs.select("source", "lang", F.lit(version).alias("tokenizer"), F.lit(sign).cast("long").alias("docs"), (count(F.coalesce("text", F.lit(""))) * sign).alias("tokens"))
-
-
 def revised(before: DataFrame, after: DataFrame) -> DataFrame:
     """Changes that replace the counts ``before`` by those ``after`` (both as inserts)."""
     return after.unionByName(before.withColumns({"docs": -F.col("docs"), "tokens": -F.col("tokens")}))
 
 
 class Rollup:
-    def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path = spark, path.rstrip("/")
-
-    def _fs(self, path: str):
-        found = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-        return found, found.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+    """path/data has a folder of sums for each batch sent, path/commits a file for each one that counts."""
 
-    def committed(self) -> list[str]:
-        root, fs = self._fs(self.path)
-        names = [x.getPath().getName() for x in fs.listStatus(root)] if fs.exists(root) else []
-        done = [n for n in names if n.startswith("batch=") and self._done(n)]
-        folded = {x for n in done if n.startswith("batch=compact-") for x in self._folded(n)}
-        return sorted(n for n in done if n not in folded)
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path, self._jvm = spark, path.rstrip("/"), spark.sparkContext._jvm
+
+    def _files(self):
+        path = self._jvm.org.apache.hadoop.fs.Path(f"{self.path}/commits")
+        return path, self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(path.toUri(), self.spark.sparkContext._jsc.hadoopConfiguration())
+
+    def _commits(self) -> dict[str, dict]:
+        """What counts: the batches of the last compaction on, by name."""
+        root, files = self._files()
+        if not files.util().exists(root):
+            return {}
+        names = [x.getPath().getName() for x in files.util().listStatus(root)]
+        folds = [int(m[1]) for n in names if (m := re.fullmatch(r"fold-(\d+)", n))]
+        last = f"fold-{max(folds)}" if folds else None
+        held = {last: self._read(last)} if last else {}
+        folded = set(held[last]["folded"]) if last else set()
+        return held | {n: self._read(n) for n in sorted(names) if n.startswith("batch=") and n not in folded}
+
+    def _read(self, name: str) -> dict:
+        root, files = self._files()
+        stream = files.open(self._jvm.org.apache.hadoop.fs.Path(root, name))
+        try:
+            return json.loads(bytes(stream.readAllBytes()))
+        finally:
+            stream.close()
 
     def _done(self, name: str) -> bool:
-        path, fs = self._fs(f"{self.path}/{name}/_SUCCESS")
-        return fs.exists(path)
-
-    def _folded(self, name: str) -> list[str]:
-        return [r[0] for r in self.spark.read.schema("name string").parquet(f"{self.path}/folded-{name}").collect()]
-
-    def apply(self, batch_id: str, rows: DataFrame) -> bool:
-        """Commit a batch. False, and nothing done, if that id is committed already."""
-        name = f"batch={batch_id}"
+        root, files = self._files()
+        return files.util().exists(self._jvm.org.apache.hadoop.fs.Path(root, name))
+
+    def _commit(self, name: str, content: dict) -> bool:
+        """The commit file appears whole, or not at all where its name is taken."""
+        root, files = self._files()
+        fs = self._jvm.org.apache.hadoop.fs
+        gateway = self.spark.sparkContext._gateway
+        here, there = fs.Path(root, f".{uuid.uuid4().hex}"), fs.Path(root, name)
+        flags = self._jvm.java.util.EnumSet.of(fs.CreateFlag.CREATE)
+        parents = gateway.new_array(gateway.jvm.org.apache.hadoop.fs.Options.CreateOpts, 1)
+        parents[0] = getattr(self._jvm, "org.apache.hadoop.fs.Options$CreateOpts").createParent()
+        stream = files.create(here, flags, parents)
+        stream.write(json.dumps(content).encode())
+        stream.close()
         if self._done(name):
+            files.delete(here, False)
             return False
-        sums = rows.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
-        sums.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/{name}")
+        rename = getattr(gateway.jvm, "org.apache.hadoop.fs.Options$Rename")
+        options = gateway.new_array(rename, 1)
+        options[0] = rename.NONE
+        try:
+            files.rename(here, there, options)
+        except Exception as e:
+            files.delete(here, False)
+            if "FileAlreadyExistsException" in str(e):
+                return False
+            raise
         return True
 
-    def compact(self, batch_id: str) -> None:
-        """Fold the committed batches into one; the folded ids stay known, so that a repeat is still refused."""
-        names = self.committed()
-        folded = self.spark.createDataFrame([(n,) for n in names], "name string")
-        folded.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/folded-batch=compact-{batch_id}")
-        self._sum(names).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/batch=compact-{batch_id}")
+    def _stored(self, rows: DataFrame, name: str) -> str:
+        folder = f"{name}-{uuid.uuid4().hex}"
+        rows.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens")).write.parquet(f"{self.path}/data/{folder}")
+        return folder
 
-    def _sum(self, names: list[str]) -> DataFrame:
-        if not names:
+    def apply(self, batch_id: str, rows: DataFrame) -> bool:
+        """Commit a batch. False, and nothing done, if that id is committed already."""
+        if not re.fullmatch(r"[\w.-]+", batch_id):
+            raise ValueError(f"a batch id is a word: {batch_id!r}")
+        name = f"batch={batch_id}"
+        return not self._done(name) and self._commit(name, {"data": self._stored(rows, name)})
+
+    def compact(self) -> bool:
+        """Fold what is committed into one folder. False if another compaction came first. Folded ids stay known, so
+        that a repeat is still refused."""
+        held = self._commits()
+        fold = next((n for n in held if n.startswith("fold-")), None)
+        name = f"fold-{int(fold[5:]) + 1 if fold else 0}"
+        folded = sorted({n for n in held if n.startswith("batch=")} | set(held[fold]["folded"] if fold else ()))
+        return self._commit(name, {"data": self._stored(self._sum(held), name), "folded": folded})
+
+    def _sum(self, held: dict[str, dict]) -> DataFrame:
+        if not held:
             return self.spark.createDataFrame([], SCHEMA)
-        rows = self.spark.read.schema(SCHEMA).parquet(*(f"{self.path}/{n}" for n in names))
+        rows = self.spark.read.schema(SCHEMA).parquet(*(f"{self.path}/data/{x['data']}" for x in held.values()))
         return rows.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
 
     def totals(self) -> DataFrame:
-        return self._sum(self.committed()).where("docs != 0 OR tokens != 0")
+        return self._sum(self._commits()).where("docs != 0 OR tokens != 0")
+
+
+#: Words of digits alone, which a revision takes out of a text.
+DIGITS = r"(?<![^\x20\x09-\x0D])[0-9]+(?![^\x20\x09-\x0D])"
 
 
-def maintained(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Load all documents, take toxic ones back, recount those of low quality without words of digits alone.
+def maintained(docs: DataFrame, labels: DataFrame, tokenizers: tuple[str, ...] = TOKENIZERS) -> DataFrame:
+    """Load all documents; take toxic ones back; revise those of low quality, whose texts lose their words of digits
+    and are counted anew by every tokenizer.
 
-    Each batch is sent twice, as after a lost acknowledgement; the second sending changes nothing.
+    Each batch is sent twice, as after a lost acknowledgement; the second sending changes nothing. A compaction
+    comes between the batches.
     """
     held = Rollup(docs.sparkSession, scratch(docs.sparkSession, "rollup"))
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
-    poor = labels.where("quality = 0 AND coalesce(toxic, 0) != 1").select("doc_id").distinct()
-    digits = F.regexp_count(F.coalesce("text", F.lit("")), F.lit(r"(?<![^\x20\x09-\x0D])[0-9]+(?![^\x20\x09-\x0D])")).cast("long")
-    counts = written(per_document(docs, digits=digits), "token-counts")
+    poor = labels.where("quality = 0 AND coalesce(toxic, 0) != 1").select("doc_id").distinct().join(toxic, "doc_id", "left_anti")
+    counts = written(per_document(docs, tokenizers), "token-counts")
+    after = per_document(docs.join(poor, "doc_id", "left_semi"), tokenizers, F.regexp_replace("text", DIGITS, ""))
     before = counts.join(poor, "doc_id", "left_semi")
-    after = before.withColumn("counts", F.transform("counts", lambda x: F.struct(x["tokenizer"].alias("tokenizer"), (x["tokens"] - F.col("digits")).alias("tokens"))))
-    batches = {"load": changes(counts), "takedown": changes(counts.join(toxic, "doc_id", "left_semi"), -1), "recount": revised(changes(before), changes(after))}
+    batches = {"load": changes(counts), "takedown": changes(counts.join(toxic, "doc_id", "left_semi"), -1), "revision": revised(changes(before), changes(after))}
     for batch, rows in batches.items():
         held.apply(batch, rows)
         held.apply(batch, rows)
+        held.compact()
     return held.totals()

@@ -1,4 +1,4 @@
-"""Byte-level BPE ids of whole texts, by the ``tokenizers`` library behind a cache of pre-tokens.
+"""BPE ids of whole texts, by the ``tokenizers`` library behind a cache of pre-tokens.
 
 The file's pre-tokenizer cuts a text into pieces that BPE treats one by one, so ids of a piece can be kept.
 Texts of common characters are cut here by the same pattern and only unseen pieces go to the library's model;
@@ -20,6 +20,9 @@ NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
 PLAIN = re.compile(r" ?[!-~]+")
+#: The cut of the lower-casing file, which never joins words across white space; its words are kept.
+WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORD_NORMALIZERS = ["NFC", "Replace", "Lowercase"]
 #: Pieces kept (about 150 bytes each): the first ones met, until so many misses for each piece kept.
 MOST_PIECES = 300_000
 RENEWAL = 8
@@ -55,13 +58,16 @@ class Encoder(dict):
         cut = shape.get("pre_tokenizer") or {}
         self.by_piece = cut.get("type") == "ByteLevel" and not cut.get("add_prefix_space") and cut.get("use_regex", True) and not shape.get("normalizer") and shape["model"]["type"] == "BPE" and not shape["model"].get("dropout")
 
+        first = (cut.get("pretokenizers") or [{}])[0]
+        normal = [x["type"] for x in (shape.get("normalizer") or {}).get("normalizers") or ()]
+        self.by_word = first.get("pattern") == {"Regex": WORD_CUT} and first.get("behavior") == "Removed" and first.get("invert") and normal == WORD_NORMALIZERS and not shape["model"].get("dropout")
+
     def whole(self, text: str) -> bytes:
         return np.array(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def __missing__(self, piece: str) -> bytes:
         self.misses += 1
-        written = ("Ġ" + piece[1:] if piece[0] == " " else piece) if PLAIN.fullmatch(piece) else piece.encode().decode("latin-1").translate(BYTE_CHARS)
-        ids = array("I", [t.id for t in self.model.tokenize(written)]).tobytes()
+        ids = self.whole(piece) if self.by_word else self._piece(piece)
         if len(self) < MOST_PIECES:
             self[piece] = ids
         elif self.misses > RENEWAL * MOST_PIECES:  # the texts have changed: learn anew
@@ -69,12 +75,16 @@ class Encoder(dict):
             self.misses = 0
         return ids
 
+    def _piece(self, piece: str) -> bytes:
+        written = ("Ġ" + piece[1:] if piece[0] == " " else piece) if PLAIN.fullmatch(piece) else piece.encode().decode("latin-1").translate(BYTE_CHARS)
+        return array("I", [t.id for t in self.model.tokenize(written)]).tobytes()
+
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if not self.by_piece or not USUAL.fullmatch(text) or any(x in text for x in self.added):
+        if not (self.by_piece or self.by_word) or not USUAL.fullmatch(text) or any(x in text for x in self.added):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
-        return b"".join(map(self.__getitem__, PIECES.findall(text)))
+        return b"".join(map(self.__getitem__, PIECES.findall(text) if self.by_piece else text.split()))
 
 
 def encoder(path: str) -> Encoder:
