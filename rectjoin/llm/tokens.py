@@ -20,8 +20,9 @@ NUMBERS = "0-9²³¹¼½¾"
 USUAL = re.compile(r"[\t\n\r -~¡-ɏ‐-‧€]*")
 PIECES = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^\s{LETTERS}{NUMBERS}]+|\s+(?!\S)|\s+")
 PLAIN = re.compile(r" ?[!-~]+")
-#: The cut of the lower-casing file, which never joins words across white space; its words are kept.
+#: The cut and the normalizers of the lower-casing file, and that cut for the usual characters.
 WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORDS = re.compile(rf"'(?:[stmd]|re|ve|ll)|[{LETTERS}]+|[{NUMBERS}]|[^\s{LETTERS}{NUMBERS}]+")
 WORD_NORMALIZERS = ["NFC", "Replace", "Lowercase"]
 #: Pieces kept (about 150 bytes each): the first ones met, until so many misses for each piece kept.
 MOST_PIECES = 300_000
@@ -67,7 +68,7 @@ class Encoder(dict):
 
     def __missing__(self, piece: str) -> bytes:
         self.misses += 1
-        ids = self.whole(piece) if self.by_word else self._piece(piece)
+        ids = self._piece(piece)
         if len(self) < MOST_PIECES:
             self[piece] = ids
         elif self.misses > RENEWAL * MOST_PIECES:  # the texts have changed: learn anew
@@ -84,7 +85,10 @@ class Encoder(dict):
             return b""
         if not (self.by_piece or self.by_word) or not USUAL.fullmatch(text) or any(x in text for x in self.added):
             return self.whole(text.encode("utf-8", "replace").decode("utf-8"))
-        return b"".join(map(self.__getitem__, PIECES.findall(text) if self.by_piece else text.split()))
+        if self.by_piece:
+            return b"".join(map(self.__getitem__, PIECES.findall(text)))
+        low = text.lower()
+        return b"".join(map(self.__getitem__, WORDS.findall(low))) if USUAL.fullmatch(low) else self.whole(text)
 
 
 def encoder(path: str) -> Encoder:
