@@ -2,8 +2,12 @@
 
 A document is its ids and an end id. One longer than a sequence is cut so that only its first piece may be
 shorter than a sequence; full pieces need no partner. Every other piece goes where the sum of squares of the
-counts of open bins per residual gap becomes smallest (ties: the tightest bin, then an open one before a new
-one). Pieces over a quarter of a sequence come first, the longest first; the rest come in a fixed shuffled order.
+counts of open bins per residual gap becomes smallest (ties: the tightest bin). A new bin is opened only where no
+open one has room: the sum alone would open more, and few sequences are what packing is for. The longest come first.
+
+A last step takes sequences away: the least filled ones are emptied, one after another, and their pieces are placed
+again by the same rule. A piece that finds no room takes the place of a shorter one, which is placed in its stead,
+until the last one fits; if it can't, the sequence stays. It ends where the tokens need every sequence there is.
 
 The pieces are dealt evenly over shards of at most ``SHARD`` pieces, which are packed apart: a shard needs
 memory for its lengths only, no key decides where a piece goes, and what a shard wastes at its end is a few
@@ -66,7 +70,7 @@ def sum_of_squares(lengths: np.ndarray, size: int = SIZE) -> tuple[np.ndarray, n
             if counts[s]:
                 change[0] = 0.5 - counts[s]
             k = int(change.argmin())
-            if change[k] <= counts[size - s] + 0.5:
+            if change[k] < np.inf:
                 gap = s + k
         if gap == size:
             b, made = made, made + 1
@@ -80,12 +84,69 @@ def sum_of_squares(lengths: np.ndarray, size: int = SIZE) -> tuple[np.ndarray, n
     return where, offset
 
 
-def arrival(lengths: np.ndarray, size: int = SIZE) -> np.ndarray:
-    """The order in which pieces are placed: see the module's text."""
-    order = np.argsort(-lengths, kind="stable")
-    n = int((lengths > size // 4).sum())
-    order[n:] = np.random.default_rng(size).permutation(order[n:])
-    return order
+#: Sequences that are tried, of the least filled, before the last step ends.
+EMPTIED = 16
+
+
+def emptied(lengths: np.ndarray, where: np.ndarray, size: int = SIZE) -> np.ndarray:
+    """The bins of the pieces once as many as can go are gone. Bins are numbered anew."""
+    fill = np.bincount(where, lengths).astype(np.int64) if len(where) else np.empty(0, np.int64)
+    least, alive = -(-int(lengths.sum()) // size), int((fill > 0).sum())
+    while alive > least:
+        for gone in np.argsort(np.where(fill > 0, fill, size + 1), kind="stable")[: min(EMPTIED, alive)].tolist():
+            if (moved := _without(lengths, where, fill, gone, size)) is not None:
+                where, fill = moved
+                alive -= 1
+                break
+        else:
+            break
+    return np.unique(where, return_inverse=True)[1]
+
+
+def _without(lengths: np.ndarray, where: np.ndarray, fill: np.ndarray, gone: int, size: int) -> tuple[np.ndarray, np.ndarray] | None:
+    """Bins and fills after one bin is emptied, or None."""
+    loose = sorted(np.flatnonzero(where == gone).tolist(), key=lambda i: lengths[i])
+    where, gap = where.copy(), size - fill
+    gap[(fill == 0) | (np.arange(len(fill)) == gone)] = 0  # takes nothing
+    open_ = np.flatnonzero(gap[where] > 0)  # pieces in bins with room
+    while loose:
+        i = loose.pop()
+        s = lengths[i]
+        room = np.flatnonzero(gap >= s)
+        if len(room):
+            counts = np.bincount(gap, minlength=size + 1)
+            counts[0] = counts[size] = 0
+            change = np.where(gap[room] == s, 0.5 - counts[gap[room]], counts[gap[room] - s] - counts[gap[room]] + 1.0)
+            b = room[np.lexsort((gap[room], change))[0]]
+            gap[b] -= s
+        else:  # the shortest piece whose place is enough; every step takes a shorter one out
+            own = lengths[open_]
+            can = np.flatnonzero((own < s) & (own + gap[where[open_]] >= s) & (where[open_] != gone))
+            if not len(can):
+                return None
+            j = open_[can[own[can].argmin()]]
+            b = where[j]
+            gap[b] -= s - lengths[j]
+            where[j] = gone
+            loose.append(int(j))
+        where[i] = b
+        open_ = np.append(open_, i)
+    return where, np.bincount(where, lengths, len(fill)).astype(np.int64)
+
+
+def offsets(lengths: np.ndarray, where: np.ndarray) -> np.ndarray:
+    """The place of each piece in its bin, in the order given."""
+    order = np.argsort(where, kind="stable")
+    before = np.cumsum(lengths[order]) - lengths[order]
+    first = np.append(True, np.diff(where[order]) != 0)[: len(order)]
+    out = np.empty(len(order), np.int64)
+    out[order] = before - np.maximum.accumulate(np.where(first, before, 0))
+    return out
+
+
+def arrival(lengths: np.ndarray) -> np.ndarray:
+    """The order in which pieces are placed: the longest first."""
+    return np.argsort(-lengths, kind="stable")
 
 
 def pack(docs: DataFrame, size: int = SIZE, path: str | None = None, shard: int = SHARD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -100,9 +161,11 @@ def pack(docs: DataFrame, size: int = SIZE, path: str | None = None, shard: int
         if batches:
             rows = pa.Table.from_batches(batches).combine_chunks()
             length = rows.column("length").to_numpy()
-            order = arrival(length, size)
-            where, offset = np.empty_like(order), np.empty_like(order)
-            where[order], offset[order] = sum_of_squares(length[order], size)
+            order = arrival(length)
+            where = np.empty_like(order)
+            where[order] = sum_of_squares(length[order], size)[0]
+            where = emptied(length, where, size)
+            offset = offsets(length, where)
             rows = rows.append_column("sequence_id", pa.array(where + (TaskContext.get().partitionId() << 40))).append_column("offset", pa.array(offset))
             yield from rows.to_batches(max_chunksize=50_000)
 

@@ -233,7 +233,7 @@ def test_sum_of_squares_places_as_defined():
             c = Counter(g for g in {**gaps, **changed}.values() if 0 < g < size)
             return sum(n * n for n in c.values())
 
-        options = [total({k: g - s}) for k, g in gaps.items() if g >= s] + [total({-1: size - s})]
+        options = [total({k: g - s}) for k, g in gaps.items() if g >= s] or [total({-1: size - s})]  # a new bin where none has room
         old = gaps.get(b, size)
         assert o == size - old and total({b: old - s}) == min(options)
         gaps[b] = old - s
