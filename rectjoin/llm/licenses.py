@@ -237,8 +237,9 @@ def scan(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", te
     sums, parts = [f"w{i}" for i in range(len(FAMILIES))], [f"t{i}" for i in range(len(templates))]
     rows = []
     for gram in sorted(set(model.weights) | {g for _, own in templates for g in own}):
-        rows.append(f"({quote(gram)}, {', '.join(f'{v:.6g}D' for v in model.weights.get(gram, zero))}, {', '.join('1' if gram in own else '0' for _, own in templates)})")
-    held = F.broadcast(_relation(spark, rows, f"gram, {', '.join(sums + parts)}"))
+        rows.append(f"({quote(gram)}, '{' '.join(f'{v:.6g}' for v in model.weights.get(gram, zero))}', '{' '.join('1' if gram in own else '0' for _, own in templates)}')")
+    held = _relation(spark, rows, "gram, _w, _t")  # numbers as text: few literals
+    held = F.broadcast(held.select("gram", *(F.split(c, " ")[i].cast(kind).alias(x) for c, names, kind in (("_w", sums, "double"), ("_t", parts, "int")) for i, x in enumerate(names))))
 
     cue = rf"(?iU)\b(?:{CUES})\b"
     texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("_text")).where(F.col("_text").rlike(cue))
