@@ -21,6 +21,7 @@ columns are not read.
 
 from __future__ import annotations
 
+import functools
 import json
 import re
 import uuid
@@ -55,13 +56,18 @@ def token_count(text: Column, version: str, path: str | None = None) -> Column:
 
 def per_document(docs: DataFrame, tokenizers: tuple[str, ...] = TOKENIZERS, text: Column | str = "text") -> DataFrame:
     """(doc_id, source, lang, counts): what each tokenizer version makes of a text. Deletes and revisions need the
-    old counts, so this small table is kept; texts are read once."""
+    old counts, so this small table is kept."""
     text = F.col(text) if isinstance(text, str) else text
     rows = docs.select("doc_id", "source", "lang", *(token_count(text, v).alias(f"_n{i}") for i, v in enumerate(tokenizers)))
     each = F.array(*(F.struct(F.lit(v).alias("tokenizer"), F.col(f"_n{i}").alias("tokens")) for i, v in enumerate(tokenizers)))
     return rows.select("doc_id", "source", "lang", each.alias("counts"))
 
 
+def counted(docs: DataFrame, tokenizers: tuple[str, ...] = TOKENIZERS) -> DataFrame:
+    """The table of :func:`per_document`, written in a pass for each version, so that a worker holds one tokenizer."""
+    return functools.reduce(DataFrame.unionByName, [written(per_document(docs, (v,)), f"counts-{v}") for v in tokenizers])
+
+
 def changes(counts: DataFrame, sign: int = 1) -> DataFrame:
     """Signed changes (source, lang, tokenizer, docs, tokens) of counted documents."""
     rows = counts.select("source", "lang", F.lit(sign).cast("long").alias("docs"), F.inline("counts"))
@@ -179,8 +185,8 @@ def maintained(docs: DataFrame, labels: DataFrame, tokenizers: tuple[str, ...] =
     held = Rollup(docs.sparkSession, scratch(docs.sparkSession, "rollup"))
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
     poor = labels.where("quality = 0 AND coalesce(toxic, 0) != 1").select("doc_id").distinct().join(toxic, "doc_id", "left_anti")
-    counts = written(per_document(docs, tokenizers), "token-counts")
-    after = per_document(docs.join(poor, "doc_id", "left_semi"), tokenizers, F.regexp_replace("text", DIGITS, ""))
+    counts = counted(docs, tokenizers)
+    after = counted(docs.join(poor, "doc_id", "left_semi").withColumn("text", F.regexp_replace("text", DIGITS, "")), tokenizers)
     before = counts.join(poor, "doc_id", "left_semi")
     batches = {"load": changes(counts), "takedown": changes(counts.join(toxic, "doc_id", "left_semi"), -1), "revision": revised(changes(before), changes(after))}
     for batch, rows in batches.items():

@@ -94,5 +94,6 @@ class Encoder(dict):
 def encoder(path: str) -> Encoder:
     """The worker process' encoder for a file: its pieces stay known from task to task."""
     if path not in _KEPT:
+        _KEPT.clear()  # one at a time: two would need the memory of two
         _KEPT[path] = Encoder(path)
     return _KEPT[path]
