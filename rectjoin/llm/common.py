@@ -18,8 +18,13 @@ def id_bucket(col: Column) -> Column:
     return F.pmod(F.xxhash64(col), F.lit(ID_BUCKETS)).cast("int")
 
 
-def _buckets(ids: DataFrame, key: str) -> DataFrame:
-    return F.broadcast(ids.select(id_bucket(F.col(key)).alias("__rj_bucket")).distinct())
+def _buckets(ids: DataFrame, key: str, name: str) -> DataFrame:
+    return F.broadcast(ids.select(id_bucket(F.col(key)).alias(name)).distinct())
+
+
+def _bucket_name(df: DataFrame) -> str:
+    """A column name that the table hasn't."""
+    return "__rj_bucket" + "_" * max((len(c) for c in df.columns if c.lower().startswith("__rj_bucket")), default=0)
 
 
 def rows_with(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
@@ -27,13 +32,15 @@ def rows_with(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
 
     What is broadcast is a set of at most ``ID_BUCKETS`` integers, whatever the size of ``ids``.
     """
-    return df.withColumn("__rj_bucket", id_bucket(F.col(key))).join(_buckets(ids, key), "__rj_bucket", "left_semi").drop("__rj_bucket")
+    name = _bucket_name(df)
+    return df.withColumn(name, id_bucket(F.col(key))).join(_buckets(ids, key, name), name, "left_semi").drop(name)
 
 
 def rows_without(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
     """Exactly the rows of ``df`` whose key isn't in ``ids``; only rows in a bucket of ``ids`` are shuffled."""
-    marked = df.withColumn("__rj_bucket", id_bucket(F.col(key)))
-    clear = marked.join(_buckets(ids, key), "__rj_bucket", "left_anti").drop("__rj_bucket")
+    name = _bucket_name(df)
+    marked = df.withColumn(name, id_bucket(F.col(key)))
+    clear = marked.join(_buckets(ids, key, name), name, "left_anti").drop(name)
     doubtful = rows_with(df, ids, key).join(ids.select(key).distinct(), key, "left_anti")
     return clear.unionByName(doubtful.select(*df.columns))
 

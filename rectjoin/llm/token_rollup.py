@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import scratch, written
+from .common import rows_with, scratch, written
 from .tokens import encoder as kept_encoder
 from .tokens import tokenizer_path
 
@@ -186,7 +186,8 @@ def maintained(docs: DataFrame, labels: DataFrame, tokenizers: tuple[str, ...] =
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
     poor = labels.where("quality = 0 AND coalesce(toxic, 0) != 1").select("doc_id").distinct().join(toxic, "doc_id", "left_anti")
     counts = counted(docs, tokenizers)
-    after = counted(docs.join(poor, "doc_id", "left_semi").withColumn("text", F.regexp_replace("text", DIGITS, "")), tokenizers)
+    # Texts aren't shuffled: some others are counted too, and left out afterwards.
+    after = counted(rows_with(docs.select("doc_id", "source", "lang", "text"), poor, "doc_id").withColumn("text", F.regexp_replace("text", DIGITS, "")), tokenizers).join(poor, "doc_id", "left_semi")
     before = counts.join(poor, "doc_id", "left_semi")
     batches = {"load": changes(counts), "takedown": changes(counts.join(toxic, "doc_id", "left_semi"), -1), "revision": revised(changes(before), changes(after))}
     for batch, rows in batches.items():
