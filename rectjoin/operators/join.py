@@ -21,7 +21,7 @@ def spatial_join(r: DataFrame, s: DataFrame, spec: GridSpec | str = "auto", swee
     """(r_id, s_id) of all pairs with a common point, each once.
 
     spec: a grid, or ``auto`` for stripes by the statistics. sweep: x, y, adaptive, or auto. dedup: ref_cell,
-    ref_point, distinct, class_split, none. hint: a join hint (broadcast, merge, shuffle_hash). on: columns that
+    ref_point, distinct, class_split, none. hint: a join hint (broadcast, broadcast_left, merge, shuffle_hash). on: columns that
     must be equal too. keep: more columns of either side, with its prefix.
     """
     if spec == "auto":
@@ -52,6 +52,8 @@ def spatial_join(r: DataFrame, s: DataFrame, spec: GridSpec | str = "auto", swee
         cond = cond & (F.col(f"r_{c}") == F.col(f"s_{c}"))
     if dedup in ("ref_cell", "ref_point"):
         cond = cond & (dd.ref_cell(spec) if dedup == "ref_cell" else dd.ref_point(spec))
+    if hint == "broadcast_left":
+        ra, hint = ra.hint("broadcast"), None
     out = ra.join(sa.hint(hint) if hint else sa, cond).select("r_id", "s_id", *(f"r_{c}" for c in keep[0]), *(f"s_{c}" for c in keep[1]))
     return out.dropDuplicates(["r_id", "s_id"]) if dedup == "distinct" else out
 

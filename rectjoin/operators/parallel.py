@@ -14,6 +14,10 @@ from pyspark.sql import functions as F
 from .grid import GridSpec, assign
 
 
+#: A table of tiles (20 bytes each) is broadcast up to so many.
+BROADCAST_TILES = 1_000_000
+
+
 def tile_counts(r: DataFrame, s: DataFrame, spec: GridSpec) -> DataFrame:
     """(tile, nr, ns)."""
     one = lambda df, x: assign(df, spec).select("tile", F.lit(1 if x == "r" else 0).alias("nr"), F.lit(0 if x == "r" else 1).alias("ns"))
@@ -51,11 +55,9 @@ def pack_tiles(counts: DataFrame, tasks: int, most: int = 1_000_000) -> DataFram
 
 def packed_join(r: DataFrame, s: DataFrame, spec: GridSpec, tasks: int, axis: str = "y") -> DataFrame:
     """The sweep with every tile on the task that packing gives it."""
-    from .sweep import _sides, kernel
+    from .sweep import _pair, _stream, _swept
 
     places = pack_tiles(tile_counts(r, s, spec), tasks).select("tile", "task")
-    ra, sa = _sides(r, s, spec, None)
-    small = spec.tiles <= 1_000_000
-    ra, sa = (df.join(F.broadcast(p) if small else p, "tile").repartition(tasks, "task") for df, p in ((ra, places), (sa, places.select("tile", (F.col("task") + 0).alias("task")))))
-    kinds = f"r_id {ra.schema['r_id'].dataType.simpleString()}, s_id {sa.schema['s_id'].dataType.simpleString()}"
-    return ra.groupBy("task", "tile").cogroup(sa.groupBy("task", "tile")).applyInArrow(kernel(axis, "".join(a for a in "xy" if spec.k(a) > 1)), kinds)
+    places = F.broadcast(places) if places.limit(BROADCAST_TILES + 1).count() <= BROADCAST_TILES else places
+    rows = _stream(r, s, spec, axis, None).join(places, "tile").repartitionById(tasks, F.col("task"))
+    return _swept(rows.drop("task"), spec, _pair(r, s))

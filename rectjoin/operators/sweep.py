@@ -10,88 +10,163 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.rect import COORDS, overlaps, prefixed
+from ..runtime import written
 from .grid import GridSpec, assign
 
 #: Candidate pairs that the kernel holds at once.
 CHUNK = 1 << 20
 
 
+def _ranges(lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All (i, j) with lo[i] <= j < hi[i], about ``CHUNK`` at a time."""
+    n = np.maximum(hi - lo, 0)
+    ends, at = np.cumsum(n), 0
+    while at < len(n):
+        upto = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + CHUNK, "right")))
+        part = n[at:upto]
+        i = np.repeat(np.arange(at, upto), part)
+        j = np.repeat(lo[at:upto] - (np.cumsum(part) - part), part) + np.arange(int(part.sum()))
+        if len(i):
+            yield i, j
+        at = upto
+
+
 def scan(rl: np.ndarray, ru: np.ndarray, sl: np.ndarray, su: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Index pairs whose intervals meet. Both sides are sorted by start; each start scans the other side forward
     over the starts inside its own interval, ties going to the first side, so the two scans share no pair."""
     for a_l, a_u, b_l, side, swap in ((rl, ru, sl, "left", False), (sl, su, rl, "right", True)):
-        lo, hi = np.searchsorted(b_l, a_l, side), np.searchsorted(b_l, a_u, "right")
-        n = np.maximum(hi - lo, 0)
-        ends = np.cumsum(n)
-        at = 0
-        while at < len(n):
-            upto = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + CHUNK, "right")))
-            part = n[at:upto]
-            i = np.repeat(np.arange(at, upto), part)
-            j = np.repeat(lo[at:upto] - (np.cumsum(part) - part), part) + np.arange(int(part.sum()))
-            if len(i):
-                yield (j, i) if swap else (i, j)
-            at = upto
-
-
-def _columns(t: pa.Table, p: str, axis: str) -> tuple[pa.Table, dict[str, np.ndarray]]:
-    order = np.argsort(t.column(f"{p}{axis}l").to_numpy(), kind="stable")
-    t = t.take(pa.array(order))
-    return t, {c: t.column(p + c).to_numpy() for c in COORDS + ("cx", "cy")}
-
-
-def kernel(axis: str, stripe_axes: str, count_only: bool = False):
-    """A function for cogrouped Arrow tables of one tile. axis: x, y, or tile (told by the column ``axis``)."""
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        chosen = axis if axis != "tile" else (left.column("axis")[0].as_py() if left.num_rows else "x") or "x"
-        other = "y" if chosen == "x" else "x"
-        left, r = _columns(left, "r_", chosen)
-        right, s = _columns(right, "s_", chosen)
-        t = {a: left.column(f"t{a}")[0].as_py() for a in "xy"} if left.num_rows else {}
-        picks, candidates = [], 0
-        for i, j in scan(r[f"{chosen}l"], r[f"{chosen}u"], s[f"{chosen}l"], s[f"{chosen}u"]) if left.num_rows and right.num_rows else ():
-            candidates += len(i)
-            if count_only:
+        for i, j in _ranges(np.searchsorted(b_l, a_l, side), np.searchsorted(b_l, a_u, "right")):
+            yield (j, i) if swap else (i, j)
+
+
+class Side:
+    """Rectangles of one input in a tile: ids, and columns of numbers, sorted by their start."""
+
+    def __init__(self, ids: pa.Array, columns: dict[str, np.ndarray]):
+        self.ids, self.columns = ids, columns
+
+    def __len__(self) -> int:
+        return len(self.ids)
+
+    def pick(self, at: np.ndarray) -> Side:
+        return Side(self.ids.take(pa.array(at)), {c: v[at] for c, v in self.columns.items()})
+
+    def with_more(self, other: Side) -> Side:
+        return Side(pa.concat_arrays([self.ids, other.ids]), {c: np.concatenate((v, other.columns[c])) for c, v in self.columns.items()}) if len(self) and len(other) else self if len(self) else other
+
+
+def _meetings(old: tuple[Side, Side], new: tuple[Side, Side], axis: str) -> Iterator[tuple[Side, Side, np.ndarray, np.ndarray]]:
+    """Candidates of a sweep that goes on: among the new ones, and of those still active with new ones, which start later."""
+    low, up = f"{axis}l", f"{axis}u"
+    (r0, s0), (r1, s1) = old, new
+    for i, j in scan(r1.columns[low], r1.columns[up], s1.columns[low], s1.columns[up]):
+        yield r1, s1, i, j
+    for i, j in _ranges(np.zeros(len(r0), np.int64), np.searchsorted(s1.columns[low], r0.columns[up], "right")):
+        yield r0, s1, i, j
+    for j, i in _ranges(np.zeros(len(s0), np.int64), np.searchsorted(r1.columns[low], s0.columns[up], "right")):
+        yield r1, s0, i, j
+
+
+def kernel(cut: str, count_only: bool = False):
+    """A function for Arrow batches that are sorted by tile and start. cut: the axes that tiles are cut on.
+
+    Tiles pass by as a stream: what is held is a batch and the rectangles that are still active, as a plane sweep
+    holds them, and ``CHUNK`` candidates. No tile needs to fit the worker.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tile, old, candidates = None, None, 0
+        for batch in batches:
+            if not batch.num_rows:
                 continue
-            ok = (r[f"{other}l"][i] <= s[f"{other}u"][j]) & (s[f"{other}l"][j] <= r[f"{other}u"][i])
-            for a in stripe_axes:
-                ok &= np.maximum(r[f"c{a}"][i], s[f"c{a}"][j]) == t[a]
-            picks.append((i[ok], j[ok]))
-        if count_only:
-            return pa.table({"tile": pa.array([left.column("tile")[0].as_py()] if left.num_rows else [], pa.int64()), "candidates": pa.array([candidates] if left.num_rows else [], pa.int64())})
-        i, j = (np.concatenate([p[k] for p in picks]) if picks else np.empty(0, np.int64) for k in (0, 1))
-        return pa.table({"r_id": left.column("r_id").take(pa.array(i)).combine_chunks(), "s_id": right.column("s_id").take(pa.array(j)).combine_chunks()})
+            held = {c: batch.column(c).to_numpy(zero_copy_only=False) for c in (*COORDS, "cx", "cy", "tx", "ty", "tile", "side", "along")}
+            borders = np.flatnonzero(np.diff(held["tile"])) + 1
+            for start, end in zip([0, *borders.tolist()], [*borders.tolist(), batch.num_rows]):
+                now = int(held["tile"][start])
+                chosen = "y" if held["along"][start] else "x"
+                other = "x" if chosen == "y" else "y"
+                sides = []
+                for k, name in enumerate(("r_id", "s_id")):
+                    at = start + np.flatnonzero(held["side"][start:end] == k)
+                    sides.append(Side(batch.column(name).take(pa.array(at)), {c: held[c][at] for c in (*COORDS, "cx", "cy")}))
+                new = (sides[0], sides[1])
+                if now != tile:
+                    if count_only and tile is not None:
+                        yield _counted(tile, candidates)
+                    tile, candidates, old = now, 0, tuple(x.pick(np.empty(0, np.int64)) for x in new)
+                for r, s, i, j in _meetings(old, new, chosen):
+                    candidates += len(i)
+                    if count_only:
+                        continue
+                    ok = (r.columns[f"{other}l"][i] <= s.columns[f"{other}u"][j]) & (s.columns[f"{other}l"][j] <= r.columns[f"{other}u"][i])
+                    for a in cut:
+                        ok &= np.maximum(r.columns[f"c{a}"][i], s.columns[f"c{a}"][j]) == held[f"t{a}"][start]
+                    if ok.any():
+                        yield pa.RecordBatch.from_arrays([r.ids.take(pa.array(i[ok])), s.ids.take(pa.array(j[ok]))], ["r_id", "s_id"])
+                if end == batch.num_rows:  # the tile may go on: who is active where the batch ends stays
+                    last = held[f"{chosen}l"][end - 1]
+                    old = tuple((both := x.with_more(y)).pick(np.flatnonzero(both.columns[f"{chosen}u"] >= last)) for x, y in zip(old, new))
+        if count_only and tile is not None:
+            yield _counted(tile, candidates)
 
     return run
 
 
-def _sides(r: DataFrame, s: DataFrame, spec: GridSpec, axes: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+def _counted(tile: int, candidates: int) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([tile], pa.int64()), pa.array([candidates], pa.int64())], ["tile", "candidates"])
+
+
+def _sides(r: DataFrame, s: DataFrame, spec: GridSpec) -> tuple[DataFrame, DataFrame]:
     ra = prefixed(assign(r, spec), "r_", "cx", "cy", "tx", "ty", "tile").withColumnsRenamed({"r_tx": "tx", "r_ty": "ty", "r_tile": "tile"})
     sa = prefixed(assign(s, spec), "s_", "cx", "cy", "tile").withColumnRenamed("s_tile", "tile")
-    if axes is not None:
-        ra = ra.join(axes.select("tile", "axis"), "tile", "left")
     return ra, sa
 
 
+def _stream(r: DataFrame, s: DataFrame, spec: GridSpec, axis: str, axes: DataFrame | None) -> DataFrame:
+    """Copies of both inputs in one table, with the axis that their tile is swept along, and where they start on it.
+
+    A tile that the model says nothing of is swept along the axis that is cheaper over all tiles.
+    """
+    kind = {x: df.schema["rid"].dataType for x, df in (("r", r), ("s", s))}
+    none = {x: F.lit(None).cast(k) for x, k in kind.items()}
+    columns = (*COORDS, "cx", "cy", "tx", "ty", "tile")
+    one = lambda df, x: assign(df, spec).select(*columns, F.lit("rs".index(x)).cast("byte").alias("side"), *((F.col("rid") if y == x else none[y]).alias(f"{y}_id") for y in "rs"))
+    both = one(r, "r").unionByName(one(s, "s"))
+    if axes is None:
+        both = both.withColumn("along", F.lit("xy".index(axis)).cast("byte"))
+    else:
+        axes = written(axes.select("tile", "ix", "iy", "axis"), "axes")
+        total = axes.agg(F.sum("ix"), F.sum("iy")).first()
+        rest = "y" if (total[1] or 0) < (total[0] or 0) else "x"
+        both = both.join(axes.select("tile", "axis"), "tile", "left").withColumn("along", (F.coalesce("axis", F.lit(rest)) == "y").cast("byte")).drop("axis")
+    return both.withColumn("start", F.when(F.col("along") == 1, F.col("yl")).otherwise(F.col("xl")))
+
+
+def _swept(rows: DataFrame, spec: GridSpec, schema: str, count_only: bool = False) -> DataFrame:
+    """The kernel over rows that are dealt by tile already."""
+    cut = "".join(a for a in "xy" if spec.k(a) > 1)
+    return rows.sortWithinPartitions("tile", "start").drop("start").mapInArrow(kernel(cut, count_only), schema)
+
+
+def _pair(r: DataFrame, s: DataFrame) -> str:
+    return ", ".join(f"{x}_id {df.schema['rid'].dataType.simpleString()}" for x, df in (("r", r), ("s", s)))
+
+
 def sweep_kernel(r: DataFrame, s: DataFrame, spec: GridSpec, axis: str = "x", axes: DataFrame | None = None) -> DataFrame:
-    """Pairs by a true sweep of every tile; a tile's copies must fit one Python worker."""
-    ra, sa = _sides(r, s, spec, axes)
-    kinds = f"r_id {ra.schema['r_id'].dataType.simpleString()}, s_id {sa.schema['s_id'].dataType.simpleString()}"
-    return ra.groupBy("tile").cogroup(sa.groupBy("tile")).applyInArrow(kernel("tile" if axes is not None else axis, "".join(a for a in "xy" if spec.k(a) > 1)), kinds)
+    """Pairs by a true sweep of every tile. Spark sorts, and spills; a worker holds the active rectangles of a tile."""
+    return _swept(_stream(r, s, spec, axis, axes).repartition("tile"), spec, _pair(r, s))
 
 
 def sweep_counts(r: DataFrame, s: DataFrame, spec: GridSpec, axis: str = "x", axes: DataFrame | None = None) -> DataFrame:
     """(tile, candidates) that the sweep meets, without testing them."""
-    ra, sa = _sides(r, s, spec, axes)
-    return ra.groupBy("tile").cogroup(sa.groupBy("tile")).applyInArrow(kernel("tile" if axes is not None else axis, "", True), "tile long, candidates long")
+    return _swept(_stream(r, s, spec, axis, axes).repartition("tile"), spec, "tile long, candidates long", True)
 
 
 def sweep_sql(r: DataFrame, s: DataFrame, spec: GridSpec, axis: str = "x") -> DataFrame:
     """The two forward scans as two range joins that share no pair."""
     from .dedup import ref_cell
 
-    ra, sa = _sides(r, s, spec, None)
+    ra, sa = _sides(r, s, spec)
     other = overlaps("y" if axis == "x" else "x") & ref_cell(spec)
     sa = sa.withColumnRenamed("tile", "s_tile")
     same = F.col("tile") == F.col("s_tile")

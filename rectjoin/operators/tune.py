@@ -5,6 +5,7 @@ from __future__ import annotations
 import time
 import warnings
 from collections.abc import Iterable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame
 
@@ -47,6 +48,44 @@ def stripes_for_memory(r: Stats, s: Stats, b: Bounds, axis: str, budget_rows: in
     return max(1, -(-int(active) // max(1, budget_rows)))
 
 
+def within(spec: GridSpec, stats: Iterable[Stats], most: float = 2.0) -> GridSpec:
+    """The grid, with fewer cuts where the copies a rectangle would exceed ``most``."""
+    stats = list(stats)
+    while max((expected_replication(s, spec) for s in stats), default=1.0) > most:
+        # The axis whose cuts make more copies loses half of them.
+        axis = max((a for a in "xy" if spec.k(a) > 1), key=lambda a: max((spec.k(a) - 1) * s.relative(spec.bounds, a) for s in stats))
+        spec = replace(spec, **{f"k{axis}": spec.k(axis) // 2})
+    return spec
+
+
+def comparisons(r: Stats, s: Stats, spec: GridSpec) -> float:
+    """Pairs of copies that share a cell, for evenly spread rectangles: what the equi-join compares."""
+    return expected_replication(r, spec) * r.n * expected_replication(s, spec) * s.n / spec.tiles
+
+
+def refined(r: Stats, s: Stats, spec: GridSpec, per_row: float = 24.0, most: float = 2.0) -> GridSpec:
+    """Cells by rows: either axis is cut further while that saves more comparisons than its copies cost.
+
+    The rule on extents alone leaves ever more rows in a cell as inputs grow, and the equi-join compares all rows of a
+    cell; ``per_row`` comparisons cost as much as a copy. At most ``most`` copies a rectangle are made, as far as
+    the cuts of ``spec`` allow.
+    """
+    cost = lambda g: comparisons(r, s, g) + per_row * sum(expected_replication(x, g) * x.n for x in (r, s))
+    while r.n and s.n:
+        finer = [replace(spec, kind="grid", **{f"k{a}": 2 * spec.k(a)}) for a in "xy" if spec.bounds.width(a) > 0 and spec.k(a) < 1 << 29]
+        finer = [g for g in finer if max(expected_replication(x, g) for x in (r, s)) <= most and cost(g) < cost(spec)]
+        if not finer:
+            return spec
+        spec = min(finer, key=cost)
+    return spec
+
+
+def bins_for_tasks(r: Stats, s: Stats, spec: GridSpec, rows: int = 4_000_000) -> int:
+    """Sweep bins for the kernel, so that a tile has about ``rows`` copies: a tile is one task's."""
+    copies = sum(expected_replication(x, spec) * x.n for x in (r, s))
+    return max(1, -(-int(copies) // max(1, spec.tiles * rows)))
+
+
 def bins_for(r: Stats, s: Stats, spec: GridSpec, per_row: float = 24.0, most: int = 4096) -> int:
     """Sweep bins for the equi-join engine: it compares all of a key's rows, so keys must be small, yet bins make copies.
 

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 
 from ..operators.grid import GridSpec, stripes
 from ..operators.stats import Stats, fused_stats, joint
-from ..operators.tune import best_cut, bins_for, expected_replication, k_rule
+from ..operators.tune import best_cut, bins_for_tasks, clamp, expected_replication, k_rule, refined, within
 
 #: A side of at most so many rows is sent to all tasks, before it is assigned.
 BROADCAST_ROWS = 20_000
@@ -31,12 +31,18 @@ class JoinPlan:
 
 
 def auto_plan(r: DataFrame, s: DataFrame, engine: str = "catalyst", ratio: float = 10.0) -> JoinPlan:
-    """Stripes on the axis with the smaller extents, as wide as the rule says; bins where the engine compares all of a key."""
+    """Stripes on the axis with the smaller extents, as wide as the rule says and with no more copies than the guard
+    allows. The engine that compares all of a key gets cells by rows, the kernel bins by rows."""
     st = (fused_stats(r), fused_stats(s))
     b = joint(*st)
     cut = best_cut(*st, b)
-    spec = stripes(cut, k_rule(st, b, cut, ratio), b)
-    if engine == "catalyst":
-        spec = spec.binned(bins_for(*st, spec))
-    hint = None if engine != "catalyst" else "broadcast" if 0 < st[1].n <= BROADCAST_ROWS else "shuffle_hash" if st[1].n <= HASH_ROWS else "merge"
+    spec = clamp(within(stripes(cut, k_rule(st, b, cut, ratio), b), st), st)
+    spec = refined(*st, spec) if engine == "catalyst" else spec.binned(bins_for_tasks(*st, spec))
+    small = min(x.n for x in st)
+    if engine != "catalyst":
+        hint = None
+    elif 0 < small <= BROADCAST_ROWS:
+        hint = "broadcast" if st[1].n == small else "broadcast_left"
+    else:
+        hint = "shuffle_hash" if st[1].n <= HASH_ROWS else "merge"
     return JoinPlan(spec, "y" if cut == "x" else "x", "ref_cell", engine, hint, st)

@@ -9,9 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session, or a temporary folder where it is unset (tests)."""
+    """``spark.checkpoint.dir`` of the session. Where it is unset a local session gets a temporary folder; a cluster, whose
+    machines don't share one, an error."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = f"file://{tempfile.mkdtemp(prefix='rectjoin-')}"
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")

@@ -65,19 +65,25 @@ def rects(kind, n, seed):
         c, e = np.round(c, 1), e * 0
     if kind == "clustered":
         c = 0.5 + (c - 0.5) ** 5
+    if kind == "outside":
+        c = c * 3 - 1
     if kind == "negative":
         c = c - 5
     rows = [(f"{kind}{i}", *map(float, (*a, *(a + b)))) for i, (a, b) in enumerate(zip(c, e))]
     return rows + [(f"{kind}fat", float(c.min()), float(c.min()), float(c.max()) + 1, float(c.max()) + 1)] if kind == "fat" else rows
 
 
-@pytest.mark.parametrize("kind", ["uniform", "lattice", "points", "clustered", "fat", "negative", "one", "empty"])
+@pytest.mark.parametrize("kind", ["uniform", "lattice", "points", "clustered", "fat", "negative", "one", "empty", "outside"])
 def test_random(spark, kind):
+    """Every method gives the pairs of brute force, also where rectangles lie outside the grid's bounds."""
     a, b = (rects(kind, 0 if kind == "empty" else 1 if kind == "one" else 70, s) for s in (1, 2))
     r, s = spark.createDataFrame(a, SCHEMA), spark.createDataFrame(b, SCHEMA)
     st = [fused_stats(x) for x in (r, s)]
     bounds = join.joint(*st)
+    bounds = Bounds(0.0, 0.0, 1.0, 1.0) if kind == "outside" else bounds
     want, grid = brute(a, b), GridSpec("grid", bounds, 8, 5)
+    for how in ("ref_point", "distinct"):
+        assert bag(join.spatial_join(r, s, grid, dedup=how)) == want
     assert bag(join.spatial_join(r, s)) == want
     assert bag(join.spatial_join(r, s, grid, hint="merge")) == want
     assert bag(dedup.class_split(r, s, grid)) == want
