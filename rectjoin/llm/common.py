@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -9,6 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..runtime import release, scratch, shared_dir, written  # noqa: F401
+from .tokens import forget
 
 #: Buckets of the id filter that is broadcast; with 8 bytes each the relation has a proven bound of a few MB.
 ID_BUCKETS = 1 << 18
@@ -54,14 +56,30 @@ def kept_texts(df: DataFrame, column: str, keep: Callable[[list[str | None]], li
 
     @F.arrow_udf("boolean")
     def wanted(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        tidied()
         for texts in arrays:
             yield pa.array([k for at in range(0, len(texts), rows) for k in keep(texts.slice(at, rows).to_pylist())], pa.bool_())
 
     return df.where(wanted(F.col(f"`{column}`")))
 
 
-def sliced(batches, rows: int = 1000):
+def tidied(keep_encoder: bool = False) -> None:
+    """Give back what a worker holds but doesn't use: memory of Arrow and of the C library, and the pieces of a tokenizer.
+
+    Workers live on from task to task, so else each keeps the most that any of its tasks has needed.
+    """
+    if not keep_encoder:
+        forget()
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
+def sliced(batches, rows: int = 1000, keep_encoder: bool = False):
     """Arrow batches in slices of so many rows, so that Python copies of their values stay small."""
+    tidied(keep_encoder)
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
             yield batch.slice(at, rows)
+    batch = None
+    tidied(keep_encoder)

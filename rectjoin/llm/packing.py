@@ -40,7 +40,7 @@ def pieces(docs: DataFrame, size: int = SIZE, path: str | None = None, id_col: s
 
     def run(batches):
         encoder = kept_encoder(path)
-        for batch in sliced(batches, 4000):
+        for batch in sliced(batches, 2000, keep_encoder=True):
             known, out = {}, ([], [], [], [], [])
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 if (cut := known.get(text)) is None:

@@ -178,7 +178,7 @@ def write(docs: DataFrame, to: str, path: str | None = None, end: int = 0, id_co
         def row():
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([base], pa.int64()), pa.array([n], pa.int64()), pa.array([segment(ids, lists)], pa.binary())], ["part", "base", "n_ids", "payload"])
 
-        for batch in sliced(batches, 4000):
+        for batch in sliced(batches, 2000, keep_encoder=True):
             known: dict[str | None, bytes] = {}  # copies in one batch
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids.append(doc)

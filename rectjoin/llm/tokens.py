@@ -91,6 +91,11 @@ class Encoder(dict):
         return b"".join(map(self.__getitem__, WORDS.findall(low))) if USUAL.fullmatch(low) else self.whole(text)
 
 
+def forget() -> None:
+    """Let the worker's encoder go."""
+    _KEPT.clear()
+
+
 def encoder(path: str) -> Encoder:
     """The worker process' encoder for a file: its pieces stay known from task to task."""
     if path not in _KEPT:
