@@ -107,7 +107,7 @@ for _name, _w, _make in (
     ("single_tile_sweep_x_w2", "w2", lambda r, s: bl.global_sweep(r, s, "x")),
     ("single_tile_sweep_y_w2", "w2", lambda r, s: bl.global_sweep(r, s, "y")),
     ("sweep_sql_w1", "w1", by_spec("stripe_x", engine="sweep_sql", sweep="y")),
-    ("memory_stripes_w3", "w3", lambda r, s: join.spatial_join(r, s, stripes("x", max(50, tune.stripes_for_memory(stats.fused_stats(r), stats.fused_stats(s), specs(r, s)["none"].bounds, "x", 20)), specs(r, s)["none"].bounds))),
+    ("memory_stripes_w3", "w3", lambda r, s: sweep.sweep_kernel(r, s, stripes("x", tune.stripes_for_memory(stats.fused_stats(r), stats.fused_stats(s), specs(r, s)["none"].bounds, "x", 20), specs(r, s)["none"].bounds), "y")),
     ("eq1_dedup_w4", "w4", by_spec("grid", dedup="ref_point")),
     ("eq1_dedup_1d_w4", "w4", by_spec("stripe_x", dedup="ref_point")),
     ("ref_cell_w4", "w4", by_spec("grid")),
@@ -145,16 +145,18 @@ def _self(spark, sf_dir):
     return flat(join.self_join(r, spec=specs(r, r)["grid"]), "docbox", "docbox")
 
 
-def _distance(metric: str, cond: str):
-    @add(f"eps_join_{metric}", f"WITH p AS ({duck_view('pt')}) SELECT r.vec_id AS r_vec_id, s.vec_id AS s_vec_id FROM p r JOIN p s ON r.vec_id < s.vec_id AND {cond}")
+def _distance(metric: str, cond: str, eps: float = 0.05, name: str = ""):
+    @add(name or f"eps_join_{metric}", f"WITH p AS ({duck_view('pt')}) SELECT r.vec_id AS r_vec_id, s.vec_id AS s_vec_id FROM p r JOIN p s ON r.vec_id < s.vec_id AND {cond}")
     def run(spark, sf_dir):
         p = rect_view(spark, sf_dir, "pt")
-        q = rect.eps_square(p, 0.05)
-        return flat(join.distance_join(p, p, 0.05, metric, spec=specs(q, q)["grid"]).where("r_id < s_id").select("r_id", "s_id"), "pt", "pt")
+        q = rect.eps_square(p, eps)
+        return flat(join.distance_join(p, p, eps, metric, spec=specs(q, q)["grid"]).where("r_id < s_id").select("r_id", "s_id"), "pt", "pt")
 
 
 _EPS = "CAST(0.05 AS DOUBLE)"
 _distance("l2", f"(r.xl - s.xl) * (r.xl - s.xl) + (r.yl - s.yl) * (r.yl - s.yl) <= {_EPS} * {_EPS}")
+for _eps in (0.01, 0.02):
+    _distance("l2", f"(r.xl - s.xl) * (r.xl - s.xl) + (r.yl - s.yl) * (r.yl - s.yl) <= CAST({_eps} AS DOUBLE) * CAST({_eps} AS DOUBLE)", _eps, f"eps_join_l2_{int(100 * _eps):02d}")
 _distance("l1", f"abs(r.xl - s.xl) + abs(r.yl - s.yl) <= {_EPS}")
 _distance("linf", f"greatest(abs(r.xl - s.xl), abs(r.yl - s.yl)) <= {_EPS}")
 
@@ -261,6 +263,15 @@ def _pack(spark, sf_dir):
     return parallel.pack_tiles(parallel.tile_counts(*WORKLOADS["w5"].load(spark, sf_dir), FINE), 16).select("tile", "cost")
 
 
+@add("pack_loads_w5", f"SELECT CAST(16 AS BIGINT) AS tasks, CAST(sum(nr * ns) AS BIGINT) AS total, CAST(count(*) AS BIGINT) AS tiles, TRUE AS balanced FROM ({_COUNTS})")
+def _loads(spark, sf_dir):
+    """Tasks of the packing; balanced: no task has more than its share and the costliest tile."""
+    packed = parallel.pack_tiles(parallel.tile_counts(*WORKLOADS["w5"].load(spark, sf_dir), FINE), 16)
+    loads = packed.groupBy("task").agg(F.sum("cost").alias("load"), F.max("cost").alias("most"), F.count(F.lit(1)).alias("tiles"))
+    total = F.sum("load")
+    return loads.agg(F.count(F.lit(1)).alias("tasks"), total.cast("long").alias("total"), F.sum("tiles").cast("long").alias("tiles"), (F.max("load") <= total / 16 + F.max("most")).alias("balanced"))
+
+
 @add("tile_balance_w5", f"SELECT CAST(count(*) AS BIGINT) AS tiles, CAST(max(nr * ns) AS BIGINT) AS costliest, CAST(sum(nr * ns) AS BIGINT) AS total FROM ({_COUNTS}) WHERE nr * ns > 0")
 def _balance(spark, sf_dir):
     return measure.balance(*WORKLOADS["w5"].load(spark, sf_dir), FINE)
@@ -366,7 +377,7 @@ def _k_rule(spark, sf_dir):
 
 @add("auto_plan_all")
 def _auto_plan(spark, sf_dir):
-    rows = [(n, auto_plan(*WORKLOADS[n].load(spark, sf_dir)).explain()) for n in ("w1", "w2", "w3", "w7", "w9")]
+    rows = [(n, auto_plan(*WORKLOADS[n].load(spark, sf_dir)).explain()) for n in WORKLOADS]
     return spark.createDataFrame(rows, "workload string, plan string")
 
 
@@ -430,10 +441,10 @@ def _asof(spark, sf_dir):
     return rel.asof(e.where("event_type = 'click'").select(F.col("event_id").alias("id"), "user_id", "ts"), right, "user_id", "ts", "event_id")
 
 
-@add("knn_pt", f"WITH p AS ({duck_view('pt')}) SELECT r_vec_id, s_vec_id, place FROM (SELECT r.vec_id AS r_vec_id, s.vec_id AS s_vec_id, CAST(row_number() OVER (PARTITION BY r.vec_id ORDER BY (r.xl - s.xl) ** 2 + (r.yl - s.yl) ** 2, s.vec_id) AS INT) AS place FROM p r, p s WHERE r.vec_id % 10 = 0) WHERE place <= 3")
+@add("knn_pt", f"WITH p AS ({duck_view('pt')}) SELECT r_vec_id, s_vec_id, place FROM (SELECT r.vec_id AS r_vec_id, s.vec_id AS s_vec_id, CAST(row_number() OVER (PARTITION BY r.vec_id ORDER BY (r.xl - s.xl) ** 2 + (r.yl - s.yl) ** 2, s.vec_id) AS INT) AS place FROM p r, p s) WHERE place <= 3")
 def _knn(spark, sf_dir):
     p = rect_view(spark, sf_dir, "pt")
-    return rel.knn(p.where("rid % 10 = 0"), p, 3, 0.05).withColumnsRenamed({"r_id": "r_vec_id", "s_id": "s_vec_id"})
+    return rel.knn(p, p, 3, 0.05).withColumnsRenamed({"r_id": "r_vec_id", "s_id": "s_vec_id"})
 
 
 WINDOW = Bounds(9800.0, 20000.0, 9900.0, 40000.0)

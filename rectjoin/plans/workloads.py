@@ -103,6 +103,35 @@ def duplicate_handling(spark: SparkSession, sf_dir: str, name: str) -> list[dict
     return [{"spec": kind, "dedup": d, "seconds": measure.timed(spatial_join(r, s, specs(r, s)[kind], dedup=d))} for kind in ("stripe_x", "grid") for d in ("ref_cell", "class_split", "distinct")]
 
 
+def breakdowns(spark: SparkSession, sf_dir: str, name: str, factors=(0.3, 1.0, 3.0)) -> list[dict]:
+    """Seconds to partition and to join, copies, for numbers of stripes and of grid cells around the rule's."""
+    r, s = WORKLOADS[name].load(spark, sf_dir)
+    own, out = specs(r, s), []
+    for factor in factors:
+        for kind in ("stripe_x", "grid"):
+            k = {a: max(1, int(own[kind].k(a) * factor)) for a in "xy"}
+            spec = GridSpec(kind, own["none"].bounds, k["x"], k["y"])
+            out.append({"spec": kind, "k": (spec.kx, spec.ky), "copies": [measure.replication(df, spec).first()[1] for df in (r, s)]} | measure.breakdown(r, s, spec, engine="sweep"))
+    return out
+
+
+def threads(sf_dir: str, name: str, cores=(1, 2, 4), dedups=("ref_cell", "class_split")) -> list[dict]:
+    """Seconds, speedup and efficiency of the stripe join by cores and duplicate handling. Each number of cores is a
+    session of its own, so none may run."""
+    out = []
+    for dedup in dedups:
+        times = {}
+        for m in cores:
+            spark = SparkSession.builder.master(f"local[{m}]").config("spark.sql.shuffle.partitions", str(2 * m)).config("spark.ui.enabled", "false").getOrCreate()
+            r, s = WORKLOADS[name].load(spark, sf_dir)
+            spec = specs(r, s)["stripe_x"].binned(16)
+            measure.timed(spatial_join(r, s, spec, dedup=dedup))  # starts the JVM's compiler
+            times[m] = measure.timed(spatial_join(r, s, spec, dedup=dedup))
+            spark.stop()
+        out += [{"dedup": dedup, "cores": m} | x for m, x in measure.scaleup(lambda t: t, times).items()]
+    return out
+
+
 def model_sensitivity(spark: SparkSession, sf_dir: str, name: str, phis=(1, 10, 100), ks=(10, 100, 1000, "auto")) -> list[dict]:
     """The model's estimates and choice for sampling rates and numbers of buckets."""
     r, s = WORKLOADS[name].load(spark, sf_dir)
