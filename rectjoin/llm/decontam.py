@@ -28,7 +28,9 @@ from .common import kept_texts, sliced, written
 
 LEAST = 5
 COVERAGE = 0.5
-BLOCK_CHARS = 32_000_000
+#: Characters of a block. Its arrays take about 24 bytes a word, its vocabulary about 120 bytes a distinct word: at the
+#: very most some 200 MB in a worker, 40 MB for common prose.
+BLOCK_CHARS = 8_000_000
 WORD = re.compile(r"[^\W_]+")
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
@@ -46,7 +48,7 @@ def rolling(ids: np.ndarray, width: int) -> np.ndarray:
     return h
 
 
-def tiles(item: list[int], text: np.ndarray, least: int) -> list[tuple[int, int, int]]:
+def tiles(item: list[int] | np.ndarray, text: np.ndarray, least: int) -> list[tuple[int, int, int]]:
     """(place in the item, place in the text, length) of the tiles; ids below 0 in the text match nothing."""
     n, free_item, free_text, out = len(item), np.ones(len(item), bool), np.ones(len(text), bool), []
     pattern = np.array(item, np.int64)
@@ -99,32 +101,37 @@ def longest_open(item: np.ndarray, text: np.ndarray, free_item: np.ndarray, free
 
 
 class Benchmark:
-    """Words, seeds and items of one block of the benchmark."""
+    """Words, seeds and items of one block of the benchmark, as arrays; only the words themselves are Python objects."""
 
     def __init__(self, items: list[tuple[int, str]], least: int):
-        self.least, self.vocabulary, self.items = least, {}, []
-        seeds: dict[int, set[int]] = {}
-        self.often: dict[tuple[int, int], int] = {}  # how often a seed stands in an item, beyond once
-        self.widths = set()
+        self.least, self.vocabulary, self.item_ids = least, {}, []
+        own, hashes = [], []
         for item_id, text in items:
-            ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in WORD.findall((text or "").lower())]
-            if ids:
-                k, at = min(least, len(ids)), len(self.items)
-                self.items.append((item_id, ids))
-                self.widths.add(k)
-                for h in rolling(np.array(ids), k).tolist():
-                    if at in (held := seeds.setdefault(h, set())):
-                        self.often[h, at] = self.often.get((h, at), 1) + 1
-                    held.add(at)
-        self.seeds = {h: sorted(v) for h, v in seeds.items()}
-        self.keys = np.sort(np.fromiter(self.seeds, np.uint64, len(self.seeds)))
+            ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in WORD.findall((text or "").lower())], np.int32)
+            if len(ids):
+                self.item_ids.append(item_id)
+                own.append(ids)
+                hashes.append(rolling(ids, min(least, len(ids))))
+        self.words = np.concatenate(own) if own else np.empty(0, np.int32)
+        self.sizes = np.fromiter(map(len, own), np.int64, len(own))
+        self.first = np.cumsum(self.sizes) - self.sizes
+        self.widths = np.unique(np.minimum(self.sizes, least)).tolist()
+        h = np.concatenate(hashes) if own else np.empty(0, np.uint64)
+        item = np.repeat(np.arange(len(own), dtype=np.int32), [len(x) for x in hashes])
+        order = np.lexsort((item, h))
+        h, item = h[order], item[order]
+        # One entry a seed and item, with the number of windows of the item that are this seed.
+        new = np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (item[1:] != item[:-1]))[: len(h)])
+        self.item, self.windows = item[new], np.diff(np.append(new, len(h))).astype(np.int32)
+        self.keys, start = np.unique(h[new], return_index=True)
+        self.start = np.append(start, len(new))
 
     def matches(self, text: str | None, coverage: float) -> list[tuple[int, int, int, int]]:
         """(item, tiles, words covered, words) of the items that a text covers to the given share."""
         words = WORD.findall((text or "").lower())
         ids = np.fromiter(map(self.vocabulary.get, words, repeat(0)), np.int64, len(words))
         known = ids > 0
-        seen, places = set(), np.zeros(len(ids) + 1, np.int64)
+        seen, places = [], np.zeros(len(ids) + 1, np.int64)
         for k in self.widths:
             at = np.flatnonzero(rolling_sum(known, k) == k)
             if not len(at):
@@ -135,29 +142,27 @@ class Benchmark:
                 h = h * _BASE + (mixed ^ (mixed >> np.uint64(32)))
             slot = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
             hit = self.keys[slot] == h
-            for t, x in zip(at[hit].tolist(), h[hit].tolist()):
-                places[t] += 1
-                places[t + k] -= 1
-                seen.add(x)
-        if not seen:
+            places[at[hit]] += 1
+            places[at[hit] + k] -= 1
+            seen.append(slot[hit])
+        if not any(map(len, seen)):
             return []
-        near: dict[int, int] = {}  # windows of an item that the text has too
-        for x in seen:
-            for item in self.seeds[x]:
-                near[item] = near.get(item, 0) + self.often.get((x, item), 1)
+        slots = np.unique(np.concatenate(seen))
+        begin, n = self.start[slots], self.start[slots + 1] - self.start[slots]
+        entries = np.repeat(begin - np.cumsum(n) + n, n) + np.arange(n.sum())
+        near, place = np.unique(self.item[entries], return_inverse=True)
+        windows = np.bincount(place, self.windows[entries])  # windows of an item that the text has too
+        near = near[windows * np.minimum(self.sizes[near], self.least) >= coverage * self.sizes[near]]  # else the seeds can't cover enough
         # Words that no seed touches can't be in a tile; one blank stands for each run of them.
         inside = np.cumsum(places[:-1]) > 0
         keep = inside | np.append(False, inside[:-1])
         short = np.where(inside, ids, -1)[keep]
         out = []
-        for item, windows in near.items():
-            item_id, own = self.items[item]
-            k = min(self.least, len(own))
-            if windows * k < coverage * len(own):  # the seeds can't cover enough
-                continue
-            found = tiles(own, short, k)
+        for item in near.tolist():
+            own = self.words[self.first[item] : self.first[item] + self.sizes[item]]
+            found = tiles(own, short, min(self.least, len(own)))
             if (covered := sum(x[2] for x in found)) >= coverage * len(own):
-                out.append((item_id, len(found), covered, len(own)))
+                out.append((self.item_ids[item], len(found), covered, len(own)))
         return out
 
 

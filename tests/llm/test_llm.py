@@ -152,6 +152,39 @@ def test_decontamination_of_items_that_repeat(spark):
     assert sorted(r.doc_id for r in decontam.clean_rows(docs, held).collect()) == [3, 4]
 
 
+def test_matches_against_tiling_of_every_item():
+    """The seeds leave out no item that tiling the whole text with every item would find."""
+    r = random.Random(7)
+    for vocabulary in (2, 4, 30):
+        say = lambda n: " ".join(f"w{r.randrange(vocabulary)}" for _ in range(n))
+        items = [(10 * i, say(r.randint(0, 16))) for i in range(25)] + [(999, None), (998, "?!")]
+        held = decontam.Benchmark(items, 5)
+        for _ in range(40):
+            known = r.choice(items)[1] or ""
+            cut = r.randint(0, len(known))
+            text = f"{say(r.randint(0, 30))} other {known[cut:]} {known[:cut]} new {say(r.randint(0, 9))}"
+            ids = np.array([held.vocabulary.get(w, 0) or -1 for w in text.split()], np.int64)
+            want = []
+            for item_id, item in items:
+                own = [held.vocabulary[w] for w in re.findall(r"\w+", item or "")]
+                found = decontam.tiles(own, ids, min(5, len(own))) if own else []
+                if own and 2 * (covered := sum(x[2] for x in found)) >= len(own):
+                    want.append((item_id, len(found), covered, len(own)))
+            assert sorted(held.matches(text, 0.5)) == sorted(want)
+
+
+def test_decontamination_in_blocks(spark, odd, monkeypatch):
+    """Several blocks give what one gives; long texts, rows that repeat and extra columns with a real benchmark."""
+    items = bench(spark, [(i, f"{i} " + " ".join(f"w{i}x{k}" for k in range(9))) for i in range(12)] + [(50, "one two three four five six"), (51, "word " * 9)])
+    one = sorted(map(tuple, decontam.contaminated(odd, items).collect()))
+    assert [x[:2] for x in one] == [(3, 50), (3, 50), (5, 51)]
+    kept = sorted(decontam.clean_rows(odd, items).collect(), key=str)
+    assert sorted(str(x.doc_id) for x in kept) == ["1", "2", "4", "6", "7", "None"] and kept[0].asDict().keys() == odd.first().asDict().keys()
+    monkeypatch.setattr(decontam, "BLOCK_CHARS", 150)
+    assert sorted(map(tuple, decontam.contaminated(odd, items).collect())) == one
+    assert sorted(decontam.clean_rows(odd, items).collect(), key=str) == kept
+
+
 def test_tiles_against_plain():
     r = random.Random(5)
     for _ in range(60):
@@ -507,3 +540,22 @@ def test_pipeline(spark):
         if k < 4:
             assert docs.columns == before.columns and 0 < docs.count() <= before.count()
     assert docs.count() > 0
+
+
+def test_pipeline_of_odd_tables(spark, odd, empty, tmp_path):
+    """Nulls, empty and long texts, rows that repeat, clashing names and empty tables go through every stage."""
+    import corpus_pipeline
+
+    bench(spark, [(1, "one two"), (2, None)]).write.parquet(f"{tmp_path}/benchmark.parquet")
+    kept = []
+    for docs in (odd, empty):
+        for k, (_, stage) in enumerate(corpus_pipeline.STAGES):
+            columns, docs = docs.columns, corpus_pipeline.written(stage(spark, docs, str(tmp_path)), "odd")
+            if k < 4:
+                assert docs.columns == columns
+                kept.append(sorted(str(r.doc_id) for r in docs.collect()))
+    # Only texts with letters have a language; one of the repeated rows stays; 6 and 7 are one set; both hold the item.
+    assert kept[4:] == [[]] * 4 and set(kept[0]) <= {"3", "5", "6", "7", "None"}
+    assert kept[1] == sorted({*kept[0]}) and ("7" not in kept[2] or "6" not in kept[1])
+    assert kept[3] == [x for x in kept[2] if x == "5"]
+    assert docs.count() == 0
