@@ -353,13 +353,35 @@ _model("axis_sampled_w9", duck_model("p_partkey % 4 = 0"), phi=4, how="modulo")
 @add("axis_model_global")
 def _global_model(spark, sf_dir):
     out = None
-    for name in ("w1", "w2", "w3", "w7", "w9"):
+    for name in WORKLOADS:
         r, s = WORKLOADS[name].load(spark, sf_dir)
         one = ax.choose_axis(r, s, specs(r, s)["none"]).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+def duck_global(name: str, k: int = 20) -> str:
+    """The model of one tile over the joint bounds, from histograms of all rows."""
+    place = lambda v, a: f"CAST(least(greatest(floor((CAST({v} AS DOUBLE) - {a}0) / {a}w * {k}), 0), {k - 1}) AS BIGINT)"
+    hist = lambda t: " UNION ALL ".join(f"SELECT '{a}' AS axis, bucket, count(*) AS cnt FROM (SELECT unnest(range({place(f'{a}l', a)}, {place(f'{a}u', a)} + 1)) AS bucket FROM {t}, b) GROUP BY bucket" for a in "xy")
+    width = ", ".join(f"coalesce(nullif(max({a}u) - min({a}l), 0), 1) AS {a}w" for a in "xy")
+    bounds = f"SELECT min(xl) AS x0, min(yl) AS y0, {width} FROM (SELECT xl, xu, yl, yu FROM r UNION ALL SELECT xl, xu, yl, yu FROM s)"
+    sums = ", ".join(f"CAST(sum(CASE WHEN hr.axis = '{a}' THEN hr.cnt * hs.cnt ELSE 0 END) AS BIGINT) AS i{a}" for a in "xy")
+    found = f"{duck_sides(name)}, b AS ({bounds}), hr AS ({hist('r')}), hs AS ({hist('s')}) SELECT {sums} FROM hr JOIN hs USING (axis, bucket)"
+    return f"SELECT '{name}' AS workload, *, CASE WHEN ix <= iy THEN 'x' ELSE 'y' END AS axis FROM ({found})"
+
+
+@add("axis_model_exact_all", " UNION ALL ".join(map(duck_global, WORKLOADS)))
+def _exact_model(spark, sf_dir):
+    """As ``axis_model_global``, from all rows and with a fixed number of buckets."""
+    out = None
+    for name in WORKLOADS:
+        r, s = WORKLOADS[name].load(spark, sf_dir)
+        one = ax.choose_axis(r, s, specs(r, s)["none"], k=20, phi=1).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def duck_ks(name: str) -> str:
     w = WORKLOADS[name]
     one = "SELECT min(xl) x0, max(xu) x1, min(yl) y0, max(yu) y1, avg(xu - xl) ex, avg(yu - yl) ey FROM"
