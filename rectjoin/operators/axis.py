@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .grid import GridSpec, assign
+from .stats import Stats, fused_stats
 
 #: Sampled rows that the model wants for each input; fewer make it use every row.
 MIN_SAMPLE = 1000
@@ -53,18 +54,18 @@ def histograms(assigned: DataFrame, spec: GridSpec, kx: int, ky: int) -> DataFra
     return parts[0].unionByName(parts[1])
 
 
-def choose_axis(r: DataFrame, s: DataFrame, spec: GridSpec, k: int | str = "auto", phi: int = 100, how: str = "hash", estimator: str = "product", least: int = MIN_SAMPLE, extents: tuple[tuple[float, float], tuple[float, float]] | None = None) -> DataFrame:
+def choose_axis(r: DataFrame, s: DataFrame, spec: GridSpec, k: int | str = "auto", phi: int = 100, how: str = "hash", estimator: str = "product", least: int = MIN_SAMPLE, known: tuple[Stats, Stats] | None = None) -> DataFrame:
     """(tile, ix, iy, axis): estimated candidates of a sweep along x and along y in every tile, and the cheaper axis.
 
     product: sum of products of the two histograms. debiased: a pair counts only in the bucket of its later start.
+    ``known``: statistics of the two sides, if a caller has them.
     """
+    if k == "auto" or (phi > 1 and least):
+        known = known or (fused_stats(r), fused_stats(s))  # one pass of each side for cardinality and extents
     if phi > 1 and least:
-        phi = max(1, min(phi, *(df.count() // least for df in (r, s))))
+        phi = max(1, min(phi, *(x.n // least for x in known)))
     if k == "auto":
-        from .stats import fused_stats
-
-        ext = extents or tuple(fused_stats(df).ext for df in (r, s))
-        kx, ky = (bucket_count(spec.bounds.width(a) / spec.k(a), max(e[i] for e in ext)) for i, a in enumerate("xy"))
+        kx, ky = (bucket_count(spec.bounds.width(a) / spec.k(a), max(x.ext[i] for x in known)) for i, a in enumerate("xy"))
     else:
         kx = ky = int(k)
     hr, hs = (histograms(sample(assign(df, spec), phi, how, side), spec, kx, ky) for df, side in ((r, "r"), (s, "s")))

@@ -355,7 +355,8 @@ def _global_model(spark, sf_dir):
     out = None
     for name in WORKLOADS:
         r, s = WORKLOADS[name].load(spark, sf_dir)
-        one = ax.choose_axis(r, s, specs(r, s)["none"]).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
+        known = stats.fused_stats(r), stats.fused_stats(s)
+        one = ax.choose_axis(r, s, GridSpec("none", stats.joint(*known)), known=known).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -377,7 +378,8 @@ def _exact_model(spark, sf_dir):
     out = None
     for name in WORKLOADS:
         r, s = WORKLOADS[name].load(spark, sf_dir)
-        one = ax.choose_axis(r, s, specs(r, s)["none"], k=20, phi=1).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
+        known = stats.fused_stats(r), stats.fused_stats(s)
+        one = ax.choose_axis(r, s, GridSpec("none", stats.joint(*known)), k=20, phi=1).select(F.lit(name).alias("workload"), "ix", "iy", "axis")
         out = one if out is None else out.unionByName(one)
     return out
 
